@@ -424,27 +424,27 @@ def _stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS hits FROM events GROUP BY 1, 2")
 def stream_tumbling(spark, sf_dir):
-    return live.run_to_table(live.tumbling(_stream(spark, sf_dir)).where("event_type <> 'flush'"))
+    return live.run_to_table(live.tumbling(_stream(spark, sf_dir))).where("event_type <> 'flush'")
 
 
 @query("SELECT start, event_type, count(*) AS hits FROM (SELECT event_type, unnest([time_bucket(INTERVAL 15 MINUTE, ts) - to_minutes(15 * i) FOR i IN range(4)]) AS start FROM events) GROUP BY 1, 2")
 def stream_sliding(spark, sf_dir):
-    return live.run_to_table(live.tumbling(_stream(spark, sf_dir), "1 hour", "15 minutes").where("event_type <> 'flush'"))
+    return live.run_to_table(live.tumbling(_stream(spark, sf_dir), "1 hour", "15 minutes")).where("event_type <> 'flush'")
 
 
 @query(f"WITH {gap_sql(MIN30)} SELECT user_id, min(ts) AS start, count(*) AS requests FROM sess GROUP BY user_id, session_no")
 def stream_session_gap(spark, sf_dir):
-    return live.run_to_table(live.gap_sessions(_stream(spark, sf_dir)).where("user_id >= 0"))
+    return live.run_to_table(live.gap_sessions(_stream(spark, sf_dir))).where("user_id >= 0")
 
 
 @query(f"WITH RECURSIVE {duration_sql(MIN30)} SELECT user_id, min(ts) AS start, count(*) AS requests FROM sess GROUP BY user_id, session_no")
 def stream_session_duration(spark, sf_dir):
-    return live.run_to_table(live.duration_sessions(_stream(spark, sf_dir), MIN30).where("user_id >= 0"))
+    return live.run_to_table(live.duration_sessions(_stream(spark, sf_dir), MIN30)).where("user_id >= 0")
 
 
 @query(f"WITH {gap_sql(MIN30)} SELECT user_id, min(ts) AS start, count(DISTINCT url_id)::INT AS n_urls, CASE WHEN count(DISTINCT url_id) <= 1 THEN 0.0 ELSE least(1.0, (count(DISTINCT url_id) - 1) / 5.0::DOUBLE) END AS weight FROM sess GROUP BY user_id, session_no")
 def stream_session_weights(spark, sf_dir):
-    return live.run_to_table(live.weigh_sessions(_stream(spark, sf_dir)).where("user_id >= 0"))
+    return live.run_to_table(live.weigh_sessions(_stream(spark, sf_dir))).where("user_id >= 0")
 
 
 @query(f"WITH {REQ} SELECT user_id, ts, seq, url_id FROM req")

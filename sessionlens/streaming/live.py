@@ -128,7 +128,16 @@ def run_to_table(result: DataFrame, mode: str = "append") -> DataFrame:
     def put(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{root}/rows/batch={number}")
 
-    result.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")  # lists and timers need it
+    try:
+        result.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    finally:
+        if before:
+            spark.conf.set(name, before)
+        else:
+            spark.conf.unset(name)
     return spark.read.schema(result.schema).parquet(f"{root}/rows").select(*result.columns)
 
 
