@@ -15,6 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Distances (squared) up to this count as none.
 EPS = 1e-18
@@ -282,10 +283,8 @@ def memberships(vectors: DataFrame, centres: np.ndarray, q: float) -> DataFrame:
                 flat = pa.ListArray.from_arrays(np.arange(len(u) + 1, dtype=np.int32) * len(v), u.ravel())
                 yield pa.RecordBatch.from_arrays([*b.columns, flat, pa.array(u.argmax(axis=1).astype(np.int32))], names=[*b.schema.names, "u", "cluster"])
 
-    from pyspark.sql import types as T
-
     given = vectors.drop("u", "cluster")
-    return given.mapInArrow(work, T.StructType([*given.schema.fields, *T.StructType().add("u", "array<double>").add("cluster", "int").fields]))
+    return given.mapInArrow(work, T.StructType([*given.schema.fields, T.StructField("u", T.ArrayType(T.DoubleType())), T.StructField("cluster", T.IntegerType())]))
 
 
 def assign(with_u: DataFrame, mode: str = "argmax", alpha: float = 0.5) -> DataFrame:

@@ -62,7 +62,7 @@ def retention_report(items: DataFrame, lb: int = 1, ub: int = 6, min_urls: int =
     for name, w in (("none", F.lit(1.0)), ("hard", step_weight(F.col("n_urls"), min_urls)), ("soft", ramp_weight(F.col("n_urls"), lb, ub))):
         kept = both.withColumn("_w", w).where("_w > 0")
         row = kept.agg(F.sum("freq").alias("requests"), F.countDistinct("url_id").alias("urls"), F.sum(F.col("_w") / F.col("n_urls")).alias("weight"), F.sum(1 / F.col("n_urls")).alias("s"))
-        row = row.select(F.lit(name).alias("treatment"), F.round("s").cast("long").alias("sessions"), "requests", "urls", "weight")
+        row = row.select(F.lit(name).alias("treatment"), F.coalesce(F.round("s").cast("long"), F.lit(0)).alias("sessions"), F.coalesce("requests", F.lit(0)).alias("requests"), "urls", F.coalesce("weight", F.lit(0.0)).alias("weight"))
         out = row if out is None else out.unionByName(row)
     return out
 
