@@ -14,7 +14,7 @@ DEPTH = 2
 def host_of(url: Column) -> Column:
     """The host in lower case, without user, port and trailing dot; null where there is none."""
     host = F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?(\[[^\]]*\]|[^/?#:]*)", 1)
-    return F.nullif(F.lower(F.rtrim(F.lit("."), host)), F.lit(""))
+    return F.nullif(F.lower(F.rtrim(host, F.lit("."))), F.lit(""))
 
 
 def intervals(entries: DataFrame) -> DataFrame:
