@@ -407,7 +407,7 @@ def fcm_assign(spark, sf_dir):
 
 
 # ---- experiments without SQL
-for _f in (workloads.cluster_summary, workloads.count_sweep, workloads.hard_and_soft, workloads.crisp_and_fuzzy, workloads.language_purity, workloads.basket_clusters, workloads.dense_points):
+for _f in (workloads.cluster_summary, workloads.count_sweep, workloads.full_sweep, workloads.run_stats, workloads.hard_and_soft, workloads.crisp_and_fuzzy, workloads.language_purity, workloads.basket_clusters, workloads.dense_points):
     _Q[_f.__name__] = _f
 
 

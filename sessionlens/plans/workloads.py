@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -73,6 +75,22 @@ def count_sweep(spark: SparkSession, sf_dir: str, counts=range(4, 9), q: float =
     return clustering.sweep_table(spark, clustering.sweep(points, list(counts), width, q, restarts=restarts, max_iter=max_iter))
 
 
+def full_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every count from 4 to 60, with graded weights and without: 114 runs that share each pass over the points."""
+    return count_sweep(spark, sf_dir, range(4, 61), max_iter=15)
+
+
+def run_stats(spark: SparkSession, sf_dir: str, counts=(4, 6, 8)) -> DataFrame:
+    """c, iterations, seconds, seconds_per_pass of fuzzy c-means runs that go alone."""
+    points, rows = event_points(spark, sf_dir, 10), []
+    for c in counts:
+        began = time.perf_counter()
+        run = clustering.fcm(points, c, 10, 1.2, max_iter=5)
+        took = time.perf_counter() - began
+        rows.append((c, run.iterations, took, took / (run.iterations + 1)))
+    return spark.createDataFrame(rows, "c int, iterations int, seconds double, seconds_per_pass double")
+
+
 def hard_and_soft(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2, urls: int = 10) -> DataFrame:
     """The three treatments of short sessions from the same start."""
     points = event_points(spark, sf_dir, urls)
