@@ -5,17 +5,28 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def settle(df: DataFrame, what: str = "stage") -> DataFrame:
-    """Writes df to the folder that all executors share (``spark.checkpoint.dir``; a fresh one where it is unset, as in
-    tests) and reads it back, so that many passes read one table and none depends on an executor that may be lost."""
-    spark = df.sparkSession
+#: Folders made for applications that name none.
+_OWN: dict[str, str] = {}
+
+
+def shared(spark: SparkSession, what: str) -> str:
+    """A new path in the folder that all executors share: ``spark.checkpoint.dir``, or a fresh one where it is unset, as in
+    tests."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="stage-")
-        spark.conf.set("spark.checkpoint.dir", root)
-    path = f"{root.rstrip('/')}/{what}-{uuid.uuid4().hex}"
+        app = spark.sparkContext.applicationId
+        if app not in _OWN:
+            _OWN[app] = "file://" + tempfile.mkdtemp(prefix="stage-")
+        root = _OWN[app]
+    return f"{root.rstrip('/')}/{what}-{uuid.uuid4().hex}"
+
+
+def settle(df: DataFrame, what: str = "stage") -> DataFrame:
+    """Writes df to the shared folder and reads it back, so that many passes read one table and none depends on an executor
+    that may be lost."""
+    path = shared(df.sparkSession, what)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 from typing import Any
 
@@ -15,6 +13,7 @@ from pyspark.sql.streaming.stateful_processor import StatefulProcessor, Stateful
 
 from ..operators.clustering import membership
 from ..operators.features import ramp_weight
+from ..plans.stage import shared
 from ..sources.logs import EVENT, table
 
 FLUSH = "2100-01-01 00:00:00"
@@ -123,7 +122,7 @@ def run_to_table(result: DataFrame, mode: str = "append") -> DataFrame:
     """Runs a streaming result over what there is and returns its rows. Each batch goes to files of its own, so a batch that
     is run again replaces them."""
     spark = result.sparkSession
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="stream-")).rstrip("/") + "/stream-" + uuid.uuid4().hex
+    root = shared(spark, "stream")
 
     def put(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{root}/rows/batch={number}")
@@ -144,7 +143,7 @@ def run_to_table(result: DataFrame, mode: str = "append") -> DataFrame:
 def staged(spark: SparkSession, sf_dir: str, flush: bool = True) -> str:
     """A folder of event files for the file source; flush: a last file with one far-future row, which closes all windows.
     The row is of user -1."""
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="stream-")).rstrip("/") + "/events-" + uuid.uuid4().hex
+    root = shared(spark, "events")
     table(spark, sf_dir, "events").select(*EVENT.names).write.parquet(root)
     if flush:
         last = spark.range(1).select(F.lit(-1).cast("long").alias("event_id"), F.lit(FLUSH).cast("timestamp_ntz").alias("ts"), F.lit(-1).cast("long").alias("user_id"), F.lit("flush").alias("event_type"), F.lit(0.0).alias("value"), F.lit('{"k": 0}').alias("props"))
