@@ -14,12 +14,18 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
+#: Folders made for applications that name none.
+_OWN: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors see: ``spark.checkpoint.dir``, or a fresh local one where it is unset (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="sessionlens-")
-        spark.conf.set("spark.checkpoint.dir", found)
+        app = spark.sparkContext.applicationId
+        if app not in _OWN:
+            _OWN[app] = "file://" + tempfile.mkdtemp(prefix="sessionlens-")
+        found = _OWN[app]
     return found.rstrip("/")
 
 
