@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sessionlens.llm import content_store, decontaminate, mixing, simhash, toxicity
+from sessionlens.llm import content_store, decontaminate, mixing, similarity, toxicity
 from sessionlens.llm.common import new_path
 
 
@@ -16,8 +16,9 @@ def toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the least id stays; of rows with one id, all that carry it."""
-    found = simhash.near_duplicates(docs.select("doc_id", "text"))
+    """Of each group of near copies (five-word shingles, similarity of 0.8 or more) the document with the least id stays; of
+    rows with one id, all that carry it."""
+    found = similarity.near_copies(docs.select("doc_id", "text"))
     kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
     return docs.join(kept, docs["doc_id"].eqNullSafe(kept["doc_id"]), "left_semi")
 

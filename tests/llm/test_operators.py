@@ -13,7 +13,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from conftest import SMALL
-from sessionlens.llm import chat_format, content_store, decontaminate, embeddings, html_text, mixing, queries, simhash, token_counts, toxicity, url_filters
+from sessionlens.llm import chat_format, content_store, decontaminate, embeddings, html_text, mixing, queries, simhash, similarity, token_counts, toxicity, url_filters
 from sessionlens.llm.common import TwoGenerations, components, running_total, union_pairs
 from sessionlens.llm.tokens import ByteBpe, PieceBpe
 
@@ -411,3 +411,61 @@ def test_each_stage_is_its_brute_force(spark):
     assert mixed.columns == list(pdf.columns)
     last = P.token_ids(spark, mixed, SMALL)
     assert last.where("not verified").count() == 0 and last.count() == mixed.count()
+
+
+def word_sets(texts):
+    out = []
+    for t in texts:
+        w = re.findall(r"[^\x20\x09-\x0D]+", (t or "").translate({c: c + 32 for c in range(65, 91)}))
+        out.append({tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))} if w else set())
+    return out
+
+
+def alike(sets):
+    pairs = [(i, j) for j in range(len(sets)) for i in range(j) if not (sets[i] or sets[j]) or 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]) > 0]
+    parent = np.arange(len(sets))
+    union_pairs(parent, *np.array(pairs, int).reshape(-1, 2).T)
+    return parent
+
+
+def test_near_copies_stage_takes_every_pair_of_similarity_08(spark, monkeypatch):
+    import corpus_pipeline as P
+
+    rnd = random.Random(8)
+    texts = [None, "", " ", "a b", "A  b", "a b c"]
+    for _ in range(12):  # light edits, from none to some below the threshold; one run of words that all share
+        base = [f"x{rnd.randrange(5000)}" for _ in range(rnd.choice([12, 40, 150, 400]))] + [f"common{i}" for i in range(12)]
+        for edits in range(8):
+            w = list(base)
+            for _ in range(edits * len(w) // 150 + (edits > 3)):
+                w[rnd.randrange(len(w))] = f"y{rnd.randrange(10**6)}"
+            texts.append(" ".join(w))
+    base = [f"z{i}" for i in range(120)]  # a group longer than a short list
+    for i in range(60):
+        w = list(base)
+        w[rnd.randrange(120)] = f"q{i}"
+        w[rnd.randrange(120)] = f"r{i}"
+        texts.append(" ".join(w))
+    sets = word_sets(texts)
+    parent = alike(sets)
+    ids = [i * 7 % 1009 for i in range(len(texts))]
+    least = defaultdict(lambda: 10**6)
+    for i, p in zip(ids, parent, strict=True):
+        least[p] = min(least[p], i)
+    table = docs(spark, [(i, t, "en", "s", 0) for i, t in zip(ids, texts, strict=True)])
+    for short, often in ((32, 8), (3, 1)):
+        monkeypatch.setattr(similarity, "SHORT", short)
+        monkeypatch.setattr(similarity, "OFTEN", often)
+        got = {r["doc_id"]: r["component_id"] for r in similarity.near_copies(table).collect()}
+        assert got == {i: least[p] for i, p in zip(ids, parent, strict=True)}
+    assert {r["doc_id"] for r in P.near_copies(spark, table, SMALL).collect()} == set(least.values())
+    assert similarity.near_copies(docs(spark, [])).count() == 0 and similarity.near_copies(docs(spark)).count() == len(ODD)
+
+
+def test_near_copies_of_the_given_documents(spark):
+    import corpus_pipeline as P
+
+    p = given(spark).sort_values("doc_id")
+    parent = alike(word_sets(p["text"]))
+    got = {r["doc_id"] for r in P.near_copies(spark, spark.read.parquet(f"{SMALL}/documents.parquet"), SMALL).select("doc_id").collect()}
+    assert got == set(p["doc_id"].to_numpy()[parent == np.arange(len(p))])
