@@ -83,7 +83,9 @@ def running_total(df: DataFrame, keys: Sequence, value: str, out: str, what: str
         offsets.append((r["_part"], before))
         before += r["s"]
     table = spark.createDataFrame(offsets, "_part int, _before long")
-    return held.join(F.broadcast(table), "_part").withColumn(out, F.col(out) + F.col("_before")).drop("_part", "_before")
+    summed = held.join(F.broadcast(table), "_part").withColumn(out, F.col(out) + F.col("_before")).drop("_part", "_before")
+    summed._kept_path = held._kept_path
+    return summed
 
 
 def components(edges: DataFrame, what: str = "edges") -> DataFrame:

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import components, keep, shuffle_width, union_pairs
+from .common import components, discard, keep, running_total, shuffle_width, union_pairs
 
 THRESHOLD, PASSES, BITS, BLOCK, SEED = 0.93, 8, 60, 256, 42
 #: Rows of a joined set that one task compares with as many others.
@@ -73,33 +73,48 @@ def _near(x: np.ndarray, y: np.ndarray, wx: np.ndarray, wy: np.ndarray, threshol
 
 
 def _pass(rows: DataFrame, turn: int, threshold: float, block: int) -> DataFrame:
-    """Edges (a, b) between reps that the windows of one pass link; at most two for each row."""
-    keys = ["label", "code", "rep"]
-    dealt = rows.select("label", F.element_at("codes", turn + 1).alias("code"), "rep", "v").repartitionByRange(shuffle_width(rows.sparkSession), *keys).sortWithinPartitions(*keys)
+    """Edges (a, b) between reps that the windows of one pass link; at most two for each row.
+
+    Blocks are cut by the row's number in the whole order, and each goes to its successor too, so windows depend neither on
+    partitions nor on batches.
+    """
+    given = rows.select("label", F.element_at("codes", turn + 1).alias("code"), "rep", "v", F.lit(1).cast("long").alias("one"))
+    numbered = running_total(given, ["label", "code", "rep"], "one", "row", "windows")
+    at = F.floor(F.col("row") / block)
+    both = numbered.select("label", "rep", "v", "row", F.explode(F.array(at, at + 1)).alias("block"))
+    dealt = both.repartition(shuffle_width(rows.sparkSession), "block").sortWithinPartitions("block", "row").select("block", "row", "label", "rep", "v")
+
+    def link(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        t = pa.Table.from_batches(held).combine_chunks()
+        own = t.column("row").to_numpy() // block == t.column("block").to_numpy()
+        label, rep = np.asarray(t.column("label").to_pylist(), object), t.column("rep").to_numpy()
+        x, w = _unit(t.column("v").combine_chunks() if t.column("v").num_chunks != 1 else t.column("v").chunk(0))
+        first = int((~own).sum())  # the rows of the block before; their own pairs are compared there
+        near = _near(x, x[first:], w, w[first:], threshold) & (label[:, None] == label[None, first:])
+        p, q = np.nonzero(near & (np.arange(len(x))[:, None] < np.arange(first, len(x))[None, :]))
+        parent = np.arange(len(rep))
+        union_pairs(parent, p, q + first)
+        moved = np.flatnonzero(parent != np.arange(len(rep)))
+        return pa.RecordBatch.from_arrays([pa.array(rep[moved]), pa.array(rep[parent[moved]])], names=["a", "b"])
 
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last = None
-        for batch in batches:
-            for i in range(0, batch.num_rows, block):
-                b = batch.slice(i, block)
-                x, w = _unit(b.column(3))
-                now = (np.asarray(b.column(0).to_pylist(), object), b.column(2).to_numpy(zero_copy_only=False), x, w)
-                label, rep, n = now[0], now[1], len(x)
-                near = np.triu(_near(x, x, w, w, threshold) & (label[:, None] == label[None, :]), 1)
-                p, q = np.nonzero(near)
-                if last is not None:
-                    across = _near(last[2], x, last[3], w, threshold) & (last[0][:, None] == label[None, :])
-                    s, t = np.nonzero(across)
-                    p, q = np.concatenate([p, s + n]), np.concatenate([q, t])
-                    rep = np.concatenate([rep, last[1]])
-                parent = np.arange(len(rep))
-                union_pairs(parent, p, q)
-                moved = np.flatnonzero(parent != np.arange(len(rep)))
-                if len(moved):
-                    yield pa.RecordBatch.from_arrays([pa.array(rep[moved]), pa.array(rep[parent[moved]])], names=["a", "b"])
-                last = now
-
-    return dealt.mapInArrow(windows, "a long, b long")
+        held: list[pa.RecordBatch] = []
+        for b in batches:
+            number = b.column(0).to_numpy(zero_copy_only=False)
+            cuts = [0, *(np.flatnonzero(number[1:] != number[:-1]) + 1).tolist(), b.num_rows]
+            for i, j in zip(cuts, cuts[1:], strict=False):
+                piece = b.slice(i, j - i)
+                if held and piece.num_rows and held[0].column(0)[0] != piece.column(0)[0]:
+                    yield link(held)
+                    held = []
+                if piece.num_rows:
+                    held.append(piece)
+        if held:
+            yield link(held)
+
+    edges = keep(dealt.mapInArrow(windows, "a long, b long"), "passes")
+    discard(numbered)
+    return edges
 
 
 def _counts(rows: DataFrame, threshold: float, most: int) -> DataFrame:
@@ -160,9 +175,9 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     """
     given = vectors.select(F.col(key).alias("vec_id"), F.col(label).alias("label"), F.col(vector).cast("array<float>").alias("v"))
     rows = keep(hashed(given, passes, bits, seed), "vectors")
-    edges = keep(_pass(rows, 0, threshold, block), "passes")
+    edges = _pass(rows, 0, threshold, block)
     for turn in range(1, passes):
-        edges = edges.unionByName(keep(_pass(rows, turn, threshold, block), "passes"))
+        edges = edges.unionByName(_pass(rows, turn, threshold, block))
     tree = keep(components(edges, "passes"), "roots")
     joined = rows.join(tree.withColumnRenamed("node", "rep"), "rep").select("root", "rep", "times", "v")
     links = _counts(joined, threshold, most)

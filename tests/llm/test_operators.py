@@ -155,6 +155,24 @@ def test_vectors_are_brute_force_and_hard_rows_link_with_nothing(spark):
     assert got[None]["n_links"] == 0 and got[None]["component_id"] is None and not got[None]["kept"]
 
 
+def test_windows_do_not_stop_at_partitions(spark):
+    rng = np.random.default_rng(6)
+    base = rng.standard_normal((1200, 64))
+    noise = rng.standard_normal((1200, 64))
+    near = base + noise * (np.linalg.norm(base, axis=1) / np.linalg.norm(noise, axis=1) * 0.37)[:, None]
+    rows = [(2 * i + j, [float(x) for x in v.astype("f4")], 1) for i, pair in enumerate(zip(base, near, strict=True)) for j, v in enumerate(pair)]
+    table = embeddings.keep(embeddings.hashed(spark.createDataFrame(rows, "vec_id long, v array<float>, label int"), 1))
+    before, found = spark.conf.get("spark.sql.shuffle.partitions"), []
+    try:
+        for width in (3, 60):
+            spark.conf.set("spark.sql.shuffle.partitions", width)
+            edges = embeddings._pass(table, 0, 0.93, 256).collect()
+            found.append({(r["a"], r["b"]) for r in edges})
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert found[0] == found[1] and len(found[0]) > 600
+
+
 # ---- 4
 def test_toxicity_is_learnt_and_held_out(spark):
     rnd = random.Random(1)
