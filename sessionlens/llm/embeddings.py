@@ -22,20 +22,42 @@ from pyspark.sql import types as T
 from .common import components, discard, keep, running_total, shuffle_width, union_pairs
 
 THRESHOLD, PASSES, BITS, BLOCK, SEED = 0.93, 8, 60, 256, 42
+#: Share of isolated pairs at the threshold that the passes together are to put in one window (over a uniform background).
+LEVEL = 0.99
 #: Rows of a joined set that one task compares with as many others.
 SET = 4096
 
 
+def passes_for(rows: int, threshold: float = THRESHOLD, block: int = BLOCK, least: int = PASSES, level: float = LEVEL) -> int:
+    """How many passes keep recall at ``level`` where the largest label has ``rows`` different vectors.
+
+    A window holds about 1.5 blocks. To stay in one, a pair must agree on the log2(rows / window) bits that lead there, and
+    vectors at angle t agree on a bit with chance 1 - t / pi.
+    """
+    agree = 1 - np.arccos(np.clip(threshold, -1, 1)) / np.pi
+    hit = min(1.0, max(agree, 1e-3) ** np.log2(max(rows, 1) / (1.5 * block)))
+    return least if hit >= 1 else max(least, int(np.ceil(np.log(1 - level) / np.log1p(-hit))))
+
+
 def planes(passes: int, bits: int, width: int, seed: int = SEED) -> np.ndarray:
     return np.random.default_rng(seed + width).standard_normal((passes, bits, width))
 
 
-def hashed(vectors: DataFrame, passes: int = PASSES, bits: int = BITS, seed: int = SEED) -> DataFrame:
-    """label, v, rep, times: each different vector of a label once, with the least of its ids and how many rows have it;
-    codes: its string of bits in each pass. Rows that link with nothing are left out. Needs vec_id, label, v."""
+def folded(vectors: DataFrame) -> DataFrame:
+    """label, v, rep, times: each different vector of a label once, with the least of its ids and how many rows have it.
+    Rows that link with nothing are left out. Needs vec_id, label, v."""
     usable = F.col("label").isNotNull() & F.col("vec_id").isNotNull() & F.col("v").isNotNull() & (F.size("v") > 0)
     sound = ~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists("v", lambda x: x != 0)
-    one = vectors.where(usable).where(sound).groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("times"))
+    return vectors.where(usable).where(sound).groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("times"))
+
+
+def hashed(vectors: DataFrame, passes: int = PASSES, bits: int = BITS, seed: int = SEED) -> DataFrame:
+    """The folded vectors with their codes, a string of bits in each pass."""
+    return coded(folded(vectors), passes, bits, seed)
+
+
+def coded(one: DataFrame, passes: int, bits: int, seed: int) -> DataFrame:
+    """Adds codes to folded vectors."""
 
     def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         made: dict[int, np.ndarray] = {}
@@ -165,16 +187,20 @@ def _counts(rows: DataFrame, threshold: float, most: int) -> DataFrame:
     return ordered.mapInArrow(count, "rep long, links long").groupBy("rep").agg(F.sum("links").alias("links"))
 
 
-def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, passes: int = PASSES, bits: int = BITS, block: int = BLOCK, seed: int = SEED, most: int = SET) -> DataFrame:
+def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, passes: int | None = None, bits: int = BITS, block: int = BLOCK, seed: int = SEED, most: int = SET) -> DataFrame:
     """key, n_links, component_id, kept: one row for each row of ``vectors``.
 
     Vectors link if their labels are equal and not null, they have the same width and their cosine is at least
     ``threshold``. A vector that is null, zero, or holds null or non-finite components links with nothing and is its own
     component; so is a row with a null key, whose component is null and which is not kept. Rows that repeat both key and
-    vector count as other vectors.
+    vector count as other vectors. Unless given, ``passes`` follows from the size of the largest label.
     """
     given = vectors.select(F.col(key).alias("vec_id"), F.col(label).alias("label"), F.col(vector).cast("array<float>").alias("v"))
-    rows = keep(hashed(given, passes, bits, seed), "vectors")
+    one = keep(folded(given), "folded")
+    if passes is None:
+        passes = passes_for(one.groupBy("label").count().agg(F.max("count")).first()[0] or 0, threshold, block)
+    rows = keep(coded(one, passes, bits, seed), "vectors")
+    discard(one)
     edges = _pass(rows, 0, threshold, block)
     for turn in range(1, passes):
         edges = edges.unionByName(_pass(rows, turn, threshold, block))

@@ -173,6 +173,13 @@ def test_windows_do_not_stop_at_partitions(spark):
     assert found[0] == found[1] and len(found[0]) > 600
 
 
+def test_passes_follow_the_largest_label(spark):
+    assert embeddings.passes_for(0) == embeddings.passes_for(300) == embeddings.PASSES
+    assert [embeddings.passes_for(n) for n in (20_000, 200_000, 1_000_000)] == sorted(embeddings.passes_for(n) for n in (20_000, 200_000, 1_000_000))
+    for n, hit in ((20_000, 1 - 0.004 ** (1 / 8)), (200_000, 1 - 0.047 ** (1 / 8)), (1_000_000, 1 - 0.112 ** (1 / 8))):  # measured for 8 passes
+        assert 1 - (1 - hit) ** embeddings.passes_for(n) > 0.985
+
+
 # ---- 4
 def test_toxicity_is_learnt_and_held_out(spark):
     rnd = random.Random(1)
