@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
-from collections.abc import Iterator, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -12,16 +13,20 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from xxhash import xxh3_128_digest
 
 
-#: Folders made for applications that name none.
+#: Folders made for local applications that name none.
 _OWN: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors see: ``spark.checkpoint.dir``, or a fresh local one where it is unset (tests)."""
+    """The folder that all executors see: ``spark.checkpoint.dir``. Where it is unset a local master gets a fresh folder of
+    its own (tests); a cluster raises an error, since no folder of one machine would do."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         app = spark.sparkContext.applicationId
         if app not in _OWN:
             _OWN[app] = "file://" + tempfile.mkdtemp(prefix="sessionlens-")
@@ -94,7 +99,8 @@ def components(edges: DataFrame, what: str = "edges") -> DataFrame:
 
     Alternates two star contractions: every node hands its larger neighbours to its smallest one, then its smaller
     ones to the smallest. The number of edges never grows, nothing but a checksum reaches the driver, and each
-    round is written to the shared folder.
+    round is written to the shared folder. So are the minima of a round: joined from a table of their own, the many edges of
+    a hub can be split over tasks.
     """
     lo, hi = F.least("a", "b"), F.greatest("a", "b")
     now = keep(edges.where("a <> b").select(lo.alias("lo"), hi.alias("hi")).distinct(), what)
@@ -105,12 +111,13 @@ def components(edges: DataFrame, what: str = "edges") -> DataFrame:
             return now.select(F.col("hi").alias("node"), F.col("lo").alias("root")).union(now.select(F.col("lo"), F.col("lo")).distinct())
         last = mark
         both = now.select(F.col("lo").alias("u"), F.col("hi").alias("v")).union(now.select("hi", "lo"))
-        least = both.groupBy("u").agg(F.least("u", F.min("v")).alias("m"))
+        least = keep(both.groupBy("u").agg(F.least("u", F.min("v")).alias("m")), what)
         large = both.join(least, "u").where("v > u").select(F.col("m").alias("lo"), F.col("v").alias("hi")).distinct()
-        low = large.groupBy("hi").agg(F.min("lo").alias("m"))
+        low = keep(large.groupBy("hi").agg(F.min("lo").alias("m")), what)
         small = large.join(low, "hi").where("lo <> m").select(F.col("m").alias("lo"), F.col("lo").alias("hi"))
         then = keep(small.union(low.select(F.col("m"), F.col("hi"))).distinct(), what)
-        discard(now)
+        for gone in (now, least, low):
+            discard(gone)
         now = then
 
 
@@ -130,45 +137,66 @@ def union_pairs(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             parent[:] = up
 
 
-def text_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 4_000_000) -> Iterator[pa.RecordBatch]:
+def text_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 2_000_000) -> Iterator[pa.RecordBatch]:
     """Cuts Arrow batches so that each holds about ``most`` bytes of ``column`` and at least one row."""
     for b in batches:
-        if b.num_rows == 0:
-            continue
-        sizes = pc.binary_length(b.column(b.schema.get_field_index(column))).fill_null(0).to_numpy(zero_copy_only=False)
-        at = (np.cumsum(sizes.astype(np.int64)) - 1).clip(0) // most
-        cuts = [0, *(np.flatnonzero(np.diff(at)) + 1).tolist(), b.num_rows]
-        for i, j in zip(cuts, cuts[1:], strict=False):
+        for i, j in _cuts(b.column(b.schema.get_field_index(column)), most):
             yield b.slice(i, j - i)
 
 
-class TwoGenerations:
-    """A bounded memo: when the young half is full it becomes the old one. Frequent keys are moved up again."""
-
-    def __init__(self, make, limit: int = 250_000):
-        self.make, self.limit, self.young, self.old = make, limit, {}, {}
-
-    def all(self, keys: Sequence) -> list:
-        """The value of each key, in order."""
-        if len(self.young) > self.limit:
-            self.old, self.young = self.young, {}
-        young, old = self.young, self.old
-        found = list(map(young.get, keys))
-        if None not in found:
-            return found
-        gaps = [i for i, v in enumerate(found) if v is None]
-        new = []
-        for k in {keys[i] for i in gaps}:
-            v = old.get(k)
-            if v is None:
-                new.append(k)
-            else:
-                young[k] = v
-        if new:
-            young.update(zip(new, self.make(new), strict=True))
-        for i in gaps:
-            found[i] = young[keys[i]]
-        return found
+def text_values(texts: Iterator[pa.Array], make: Callable[[pa.Array], pa.Array], most: int = 2_000_000) -> Iterator[pa.Array]:
+    """For Arrow UDFs: what ``make`` gives for each array of texts, called with about ``most`` bytes at a time."""
+    for t in texts:
+        made = [make(t.slice(i, j - i)) for i, j in _cuts(t, most)]
+        yield pa.concat_arrays(made) if made else make(t)
+        slim()
+
+
+def _cuts(texts: pa.Array, most: int) -> list[tuple[int, int]]:
+    if len(texts) == 0:
+        return []
+    sizes = pc.binary_length(texts).fill_null(0).to_numpy(zero_copy_only=False)
+    at = (np.cumsum(sizes.astype(np.int64)) - 1).clip(0) // most
+    cuts = [0, *(np.flatnonzero(np.diff(at)) + 1).tolist(), len(texts)]
+    return list(zip(cuts, cuts[1:], strict=False))
+
+
+def slim() -> None:
+    """Gives memory that is free in this process back to the system, so that workers that wait for a task hold little."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+class UnitCache:
+    """A cache of fixed size from short texts to a few numbers each, in arrays: four places for each group of keys, one of
+    which, at random, is overwritten when all are taken. Keys are told apart by 128-bit hashes.
+
+    ``entries`` (a power of two) x (16 bytes + ``width`` numbers) is all it ever holds: 32 MB for the tokenizers' units.
+    """
+
+    def __init__(self, width: int, kind: np.dtype, entries: int = 1 << 20, seed: int = 1):
+        sets = max(entries // 4, 1)
+        self.mask = np.uint64(sets - 1)
+        self.tags, self.values = np.zeros((sets, 4, 2), np.uint64), np.zeros((sets, 4, width), kind)
+        self.random = np.random.default_rng(seed)
+
+    def get(self, keys: Sequence[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Whether each key is held, its numbers (anything where it isn't), and its hash, for ``put``."""
+        hashes = np.frombuffer(b"".join(map(xxh3_128_digest, keys)), "<u8").reshape(-1, 2)
+        at = hashes[:, 0] & self.mask
+        same = (self.tags[at] == hashes[:, None, :]).all(axis=2)
+        place = same.argmax(axis=1)
+        return same[np.arange(len(at)), place], self.values[at, place], hashes
+
+    def put(self, hashes: np.ndarray, values: np.ndarray) -> None:
+        at = hashes[:, 0] & self.mask
+        free = ~self.tags[at].any(axis=2)
+        place = np.where(free.any(axis=1), free.argmax(axis=1), self.random.integers(0, 4, len(at)))
+        one = np.unique(at.astype(np.int64) * 4 + place, return_index=True)[1]  # of keys that meet in a place
+        self.tags[at[one], place[one]] = hashes[one]
+        self.values[at[one], place[one]] = values[one]
 
 
 def with_field(schema: T.StructType, name: str, kind: str) -> T.StructType:

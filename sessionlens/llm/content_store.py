@@ -6,6 +6,8 @@ Files, all written by Spark's own writers into the shared folder (Parquet as the
   ``width`` bytes each). Each digest is stored once.
 * ``recipes``: one row for each document in ascending document id: start, n_tokens, the digests of its chunks in
   order, and root, the Merkle root over them.
+* ``manifest``: for each block of the id stream how many documents begin in it, their ids, and a digest over their roots in
+  order. Reading makes these anew from the recipes as read, so a recipe that is missing, repeated or replaced is noticed.
 
 Chunk ends depend on the ids inside a document alone, so equal passages of different documents share chunks.
 """
@@ -25,13 +27,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import new_path, running_total, shuffle_width, text_batches
+from .common import keep, new_path, running_total, shuffle_width, slim, text_batches
 from .tokens import byte_bpe
 
 #: The public tokenizer's file, and the id that ends every document.
 MODEL, END = "byte_bpe_50k.json", 0
 #: Chunk lengths in ids: the least, the most, and the mean distance of cut points (a power of two).
 LEAST, MOST, MEAN = 64, 4096, 512
+#: Digests of late that a task doesn't send again; ids of a block of the manifest, and blocks of a group.
+RECENT, BLOCK, GROUP = 10_000, 1 << 20, 4096
 
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
@@ -83,47 +87,67 @@ def merkle_root(digests: list[bytes]) -> bytes:
 
 @dataclass
 class Store:
-    """Where a store lies, and how wide its ids are."""
+    """Where a store lies, how wide its ids are, and of which type its documents' ids."""
 
     spark: SparkSession
     path: str
     recipes: DataFrame
+    blocks: DataFrame
     width: int
+    kind: T.DataType
 
     @property
     def chunks(self) -> DataFrame:
         """digest, n, payload, as the files hold them."""
-        every = self.spark.read.schema(T.StructType([T.StructField("kind", T.IntegerType()), *_SCHEMA.fields])).parquet(self.path)
-        return every.where("kind = 0").select(F.col("key").alias("digest"), "n", "payload")
+        return self.spark.read.schema(_schema(self.kind)).parquet(self.path).where("kind = 0").select(F.col("key").alias("digest"), "n", "payload")
 
 
-_SCHEMA = T.StructType([T.StructField("key", T.BinaryType()), T.StructField("doc_id", T.LongType()), T.StructField("n", T.LongType()), T.StructField("payload", T.BinaryType()), T.StructField("digests", T.ArrayType(T.BinaryType())), T.StructField("root", T.BinaryType())])
+def _schema(kind: T.DataType) -> T.StructType:
+    binary = T.BinaryType()
+    names = ("kind", T.IntegerType()), ("key", binary), ("doc_id", kind), ("n", T.LongType()), ("payload", binary), ("digests", T.ArrayType(binary)), ("root", binary)
+    return T.StructType([T.StructField(*n) for n in names])
+
+
+class _Recent:
+    """The digests of late, in two halves of bounded size."""
+
+    def __init__(self, most: int):
+        self.most, self.young, self.old = most, set(), set()
+
+    def add(self, digest: bytes) -> bool:
+        """Whether the digest is new here."""
+        new = digest not in self.young and digest not in self.old
+        if len(self.young) >= self.most:
+            self.old, self.young = self.young, set()
+        self.young.add(digest)
+        return new
 
 
 def write_store(docs: DataFrame, key: str = "doc_id", text: str = "text", model: str = MODEL, end: int = END, least: int = LEAST, most: int = MOST, mean: int = MEAN) -> Store:
     """Encodes every text and writes the store.
 
     A null text is empty and becomes the end id alone. Rows that share a document id are all written, ordered by
-    Merkle root; a null id comes last. Each task sends a chunk's ids once however often it meets them, so a passage
-    that a third of all documents share reaches its writer once from each task.
+    Merkle root; a null id comes last. A task doesn't send a chunk again while it is one of the ``RECENT`` it met last, so a
+    passage that a third of all documents share reaches its writer about once from each task.
     """
     spark = docs.sparkSession
     path = new_path(spark, "token-store")
     width = 2 if byte_bpe(model).kind.itemsize == 2 else 4
-    schema = T.StructType([T.StructField("kind", T.IntegerType()), *_SCHEMA.fields])
+    kind = docs.schema[key].dataType
+    schema = _schema(kind)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        bpe, part, row, sent = byte_bpe(model), TaskContext.get().partitionId(), 0, set()
-        for b in text_batches(batches, "_t", 8_000_000):
+        bpe, part, row, sent = byte_bpe(model), TaskContext.get().partitionId(), 0, _Recent(RECENT)
+        for b in text_batches(batches, "_t"):
             flat, offsets = bpe.encode(b.column(1))
             n = len(offsets) - 1
             ids = np.insert(flat, offsets[1:], end)  # after each text
             bounds = np.append(offsets[:-1] + np.arange(n), len(ids))
             marks = np.flatnonzero((rolling_hash(ids) >> np.uint64(40)) & np.uint64(mean - 1) == 0)
             wide = ids.astype("<u4")
-            raw, slim = memoryview(wide).cast("B"), memoryview(np.ascontiguousarray(ids)).cast("B")
+            raw, slim_ids = memoryview(wide).cast("B"), memoryview(np.ascontiguousarray(ids)).cast("B")
             out = {f.name: [] for f in schema.fields}
 
             def put(*values):
@@ -136,26 +160,34 @@ def write_store(docs: DataFrame, key: str = "doc_id", text: str = "text", model:
                 for to in cut_points(i, j, marks, least, most):
                     d = hashlib.sha256(raw[4 * at : 4 * to]).digest()
                     digests.append(d)
-                    if d not in sent:
-                        if len(sent) < 1_000_000:  # bounded: beyond it a chunk may be sent again, and is still stored once
-                            sent.add(d)
-                        put(0, d, None, to - at, bytes(slim[width * at : width * to]), None, None)
+                    if sent.add(d):
+                        put(0, d, None, to - at, bytes(slim_ids[width * at : width * to]), None, None)
                     at = to
                 put(1, part.to_bytes(8, "big") + row.to_bytes(8, "big"), doc, j - i, None, digests, merkle_root(digests))
                 row += 1
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out.values(), arrow_schema, strict=True)], schema=arrow_schema)
+            del flat, ids, marks, wide, raw, slim_ids, out
+        slim()
 
     from pyspark.sql.pandas.types import to_arrow_schema
 
     arrow_schema = to_arrow_schema(schema)
-    sent = docs.select(F.col(key).cast("long").alias("_k"), F.col(text).alias("_t")).mapInArrow(encode, schema)
+    sent = docs.select(F.col(key).alias("_k"), F.col(text).alias("_t")).mapInArrow(encode, schema)
     once = Window.partitionBy("kind", "key").orderBy("n")
     dealt = sent.repartition(shuffle_width(spark), "kind", "key").withColumn("_r", F.row_number().over(once)).where("_r = 1").drop("_r")
     dealt.write.option("compression", "zstd").partitionBy("kind").parquet(path)
     # an input without rows leaves no folder for a kind
     made = spark.read.schema(schema).parquet(path).where("kind = 1").select("doc_id", F.col("n").alias("n_tokens"), "digests", "root", F.col("key").alias("row_id"))
     recipes = running_total(made, [F.col("doc_id").asc_nulls_last(), "root", "row_id"], "n_tokens", "start", "token-recipes")
-    return Store(spark, path, recipes, width)
+    return Store(spark, path, recipes, keep(_blocks(recipes), "token-manifest"), width, kind)
+
+
+def _blocks(recipes: DataFrame) -> DataFrame:
+    """block, docs, ids, digest: over the Merkle roots of the documents that begin in a block of the id stream, in order."""
+    roots = F.sort_array(F.collect_list(F.struct("start", "row_id", "n_tokens", "root")))
+    each = recipes.groupBy(F.floor(F.col("start") / BLOCK).alias("block")).agg(F.count("*").alias("docs"), F.sum("n_tokens").alias("ids"), roots.alias("r"))
+    line = F.transform("r", lambda x: F.concat_ws(":", x["start"].cast("string"), x["n_tokens"].cast("string"), F.hex(x["root"])))
+    return each.select("block", "docs", "ids", F.sha2(F.array_join(line, "|"), 256).alias("digest"))
 
 
 def _chunk_sums(store: Store) -> DataFrame:
@@ -179,7 +211,7 @@ def read_back(store: Store) -> DataFrame:
 
     The sum of a document comes from the sums of its chunks: appending a chunk is an affine map of the sum so far,
     the same for all chunks of a length, so ids need not travel. verified: every chunk is there, gives its digest
-    and count, and the Merkle root of the digests is the recipe's.
+    and count, the Merkle root of the digests is the recipe's, and the manifest states the document's block as it is read.
     """
     sums = _chunk_sums(store)
     parts = store.recipes.select("row_id", F.posexplode("digests").alias("seq", "digest"))
@@ -206,25 +238,25 @@ def read_back(store: Store) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary()), pa.array(crcs, pa.int64()), pa.array(counts, pa.int64()), pa.array(roots, pa.binary()), pa.array(good, pa.bool_())], names=["row_id", "ids_crc32", "read", "found", "good"])
 
     got = found.mapInArrow(whole, "row_id binary, ids_crc32 long, read long, found binary, good boolean")
-    out = store.recipes.join(got, "row_id", "left")
-    return out.select("doc_id", "start", F.col("read").alias("n_tokens"), "ids_crc32", "root", (F.col("good") & (F.col("found") == F.col("root")) & (F.col("read") == F.col("n_tokens"))).alias("verified"))
-
+    stated = store.blocks.select("block", "digest").withColumn("stated", F.lit(True))
+    sound = _blocks(store.recipes).select("block", "digest").join(stated, ["block", "digest"], "left").select("block", F.coalesce("stated", F.lit(False)).alias("stated"))
+    out = store.recipes.withColumn("block", F.floor(F.col("start") / BLOCK)).join(sound, "block", "left").join(got, "row_id", "left")
+    whole_ones = F.col("stated") & F.col("good") & (F.col("found") == F.col("root")) & (F.col("read") == F.col("n_tokens"))
+    return out.select("doc_id", "start", F.col("read").alias("n_tokens"), "ids_crc32", "root", F.coalesce(whole_ones, F.lit(False)).alias("verified"))
 
-def manifest(store: Store) -> DataFrame:
-    """One row: documents, ids, chunks, and the Merkle root over blocks of recipes (4 Mi ids each) in order. Block roots are
-    made in their tasks; what meets in one task is one digest for each block."""
-    blocks = store.recipes.withColumn("block", F.floor(F.col("start") / (1 << 22)))
 
-    def tops(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["start", "row_id"])
-        return pd.DataFrame({"block": [pdf["block"].iloc[0]], "root": [merkle_root(pdf["root"].tolist())], "docs": [len(pdf)], "ids": [int(pdf["n_tokens"].sum())]})
+def manifest(store: Store, written: bool = True) -> DataFrame:
+    """One row: docs, ids, and the digest of digests over groups of blocks in order, from the stored manifest, or from the
+    recipes as they are read. What meets in one task is a digest for each group."""
+    blocks = store.blocks if written else _blocks(store.recipes)
 
-    def top(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("block")
-        return pd.DataFrame({"root": [merkle_root(pdf["root"].tolist())], "docs": [int(pdf["docs"].sum())], "ids": [int(pdf["ids"].sum())]})
+    def over(df: DataFrame, by) -> DataFrame:
+        parts = F.sort_array(F.collect_list(F.struct("block", "digest")))
+        each = df.groupBy(by.alias("block")).agg(F.sum("docs").alias("docs"), F.sum("ids").alias("ids"), parts.alias("r"))
+        return each.select("block", "docs", "ids", F.sha2(F.array_join(F.transform("r", lambda x: x["digest"]), "|"), 256).alias("digest"))
 
-    made = blocks.groupBy("block").applyInPandas(tops, "block long, root binary, docs long, ids long")
-    return made.groupBy(F.lit(0).alias("all")).applyInPandas(top, "root binary, docs long, ids long")
+    top = over(over(blocks, F.floor(F.col("block") / GROUP)), F.lit(0))
+    return top.select("docs", "ids", F.col("digest").alias("root"))
 
 
 def reconstruct(store: Store) -> DataFrame:

@@ -6,8 +6,8 @@ rarest term: that term's postings give where the phrase would start (position le
 the list of the second rarest term, shifted alike, must give the same start, and the words around a posting, which the
 index keeps with it, decide. Proximity matches intersect the lists of an item's rarest terms within a span.
 
-Test items are the stated query set. They are handled in blocks whose terms fit a literal set (``BLOCK`` items each), so
-neither the driver nor a broadcast grows with the documents.
+Test items are the stated query set. Their different windows are handled in blocks whose terms fit a literal set (about
+``BLOCK`` windows each, dealt by a hash), so neither the driver nor a broadcast grows with the documents or with an item.
 """
 
 from __future__ import annotations
@@ -16,10 +16,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import keep
+from .common import discard, keep
 
-#: Words of a window; test items of a block.
-WINDOW, BLOCK = 10, 5_000
+#: Words of a window; windows of a block.
+WINDOW, BLOCK = 10, 20_000
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: What stands between words: all of ASCII but digits and letters.
@@ -45,7 +45,8 @@ def windows(items: DataFrame, key: str = "item_id", text: str = "text", size: in
 
 
 def term_counts(docs: DataFrame, terms: list[str], text: str = "text") -> DataFrame:
-    """term, n: how often each of the terms (lower case) stands in all documents. Other words are left in their row."""
+    """term, n: how often each of the terms (as ``lower`` writes them) stands in all documents. Other words are left in their
+    row. ``lower`` is a first sieve on either side; ``fold`` decides."""
     found = F.filter(words_of(F.col(text)), lambda w: F.lower(w).isin(terms)) if terms else F.array().cast("array<string>")
     return docs.select(F.explode(found).alias("w")).groupBy(fold(F.col("w")).alias("term")).agg(F.count("*").alias("n"))
 
@@ -64,30 +65,31 @@ def postings(docs: DataFrame, terms: list[str], key: str = "doc_id", text: str =
     return rows.select("doc", fold(F.col("p.w")).alias("term"), "p.pos", "p.before", "p.after")
 
 
-def plan_windows(phrases: DataFrame, counts: DataFrame) -> DataFrame:
-    """words, items, term, place, second, second_place, n: each different phrase with its rarest and second rarest
-    place, ties to the first; a term that no document has counts 0. phrases: item, words."""
-    each = phrases.groupBy("words").agg(F.sort_array(F.collect_set("item")).alias("items"))
+def plan_windows(each: DataFrame, counts: DataFrame) -> DataFrame:
+    """words, items, term, low, place, next, n: each different phrase with its rarest and second rarest place, ties to the
+    first; a term that no document has counts 0. each: words, items. low: the rarest term as ``lower`` writes it."""
     placed = each.select("words", "items", F.posexplode("words").alias("place", "term")).join(F.broadcast(counts), "term", "left").withColumn("n", F.coalesce("n", F.lit(0)))
     two = placed.groupBy("words", "items").agg(F.slice(F.sort_array(F.collect_list(F.struct("n", "place", "term"))), 1, 2).alias("r"))
-    return two.select("words", "items", F.expr("r[0].term").alias("term"), F.expr("r[0].place").alias("place"), F.try_element_at("r", F.lit(2)).alias("next"), F.expr("r[0].n").alias("n"))
+    return two.select("words", "items", F.expr("r[0].term").alias("term"), F.expr("lower(r[0].term)").alias("low"), F.expr("r[0].place").alias("place"), F.try_element_at("r", F.lit(2)).alias("next"), F.expr("r[0].n").alias("n"))
 
 
 def phrase_matches(docs: DataFrame, phrases: DataFrame, key: str = "doc_id", text: str = "text", block: int = BLOCK, base: Column | None = None) -> DataFrame:
     """doc, item, start, length: every occurrence of every phrase (item, words) in every whole document, word for word."""
     spark = docs.sparkSession
     parts = []
-    items = [r["item"] for r in phrases.select("item").distinct().orderBy("item").collect()]  # the stated query set
-    for i in range(0, len(items), block):
-        some = phrases.where(F.col("item").isin(items[i : i + block])) if len(items) > block else phrases
-        terms = [r["t"] for r in some.select(F.explode("words").alias("t")).distinct().collect()]
-        counts = keep(term_counts(docs, _either_case(terms), text), "term-counts")
+    each = keep(phrases.groupBy("words").agg(F.sort_array(F.collect_set("item")).alias("items")), "phrases")
+    n = -(-each.count() // block)
+    for i in range(n):
+        some = each.where(F.pmod(F.xxhash64("words"), F.lit(n)) == i)
+        terms = _lowered(some)
+        counts = keep(term_counts(docs, terms, text), "term-counts")
         plan = plan_windows(some, counts).where("n > 0")
         rows = plan.collect()
+        discard(counts)
         if not rows:
             continue
-        small = spark.createDataFrame(rows, plan.schema)  # the block's windows, at most BLOCK items' worth
-        found = postings(docs, _either_case({r["term"] for r in rows}), key, text, max(len(r["words"]) for r in rows) - 1, base).join(F.broadcast(small), "term")
+        small = spark.createDataFrame(rows, plan.schema)  # the block's windows
+        found = postings(docs, sorted({r["low"] for r in rows}), key, text, max(len(r["words"]) for r in rows) - 1, base).join(F.broadcast(small), "term")
         place, length = F.col("place"), F.size("words")
         # the second rarest term first, then all others, each at its distance from the rarest
         near = F.when(F.col("next").isNull(), True).when(F.col("next.place") < place, fold(F.try_element_at("before", F.col("next.place") - place + F.size("before") + 1)) == F.col("next.term"))
@@ -106,9 +108,9 @@ def phrase_matches(docs: DataFrame, phrases: DataFrame, key: str = "doc_id", tex
     return out
 
 
-def _either_case(terms) -> list[str]:
-    """Folded terms as ``lower`` would write them: the literal set is a first sieve, and ``fold`` decides later."""
-    return sorted({t.lower() for t in terms} | set(terms))
+def _lowered(phrases: DataFrame) -> list[str]:
+    """The different terms of the phrases as Spark's ``lower``, which sieves the documents' words, writes them."""
+    return [r["t"] for r in phrases.select(F.explode(F.transform("words", F.lower)).alias("t")).distinct().collect()]
 
 
 def proximity_matches(docs: DataFrame, items: DataFrame, terms: int = 3, span: int = 20, key: str = "doc_id", text: str = "text", item: str = "item_id", block: int = BLOCK) -> DataFrame:
@@ -116,19 +118,18 @@ def proximity_matches(docs: DataFrame, items: DataFrame, terms: int = 3, span: i
     if it has fewer), in any order. Each span ends at one of the words and begins at the last place that still holds all."""
     spark = docs.sparkSession
     parts = []
-    given = items.select(F.col(item).alias("item"), F.array_distinct(F.transform(words_of(F.col(text)), fold)).alias("words")).where("size(words) > 0")
-    ids = [r["item"] for r in given.select("item").distinct().orderBy("item").collect()]
-    for i in range(0, len(ids), block):
-        some = given.where(F.col("item").isin(ids[i : i + block])) if len(ids) > block else given
-        words = [r["t"] for r in some.select(F.explode("words").alias("t")).distinct().collect()]
-        counts = keep(term_counts(docs, _either_case(words), text), "term-counts")
+    given = keep(items.select(F.col(item).alias("item"), F.array_distinct(F.transform(words_of(F.col(text)), fold)).alias("words")).where("size(words) > 0"), "items")
+    n = -(-(given.agg(F.sum(F.size("words"))).first()[0] or 0) // (block * WINDOW))
+    for i in range(n):
+        some = given.where(F.pmod(F.xxhash64("item"), F.lit(n)) == i)
+        counts = keep(term_counts(docs, _lowered(some), text), "term-counts")
         ranked = some.select("item", F.explode("words").alias("term")).join(F.broadcast(counts), "term", "left").withColumn("n", F.coalesce("n", F.lit(0)))
         ranked = ranked.withColumn("r", F.row_number().over(Window.partitionBy("item").orderBy("n", "term"))).where(F.col("r") <= terms)
-        rows = ranked.select("item", "term", F.count("*").over(Window.partitionBy("item")).alias("need")).collect()
+        rows = ranked.select("item", "term", F.lower("term").alias("low"), F.count("*").over(Window.partitionBy("item")).alias("need")).collect()
         if not rows:
             continue
-        small = spark.createDataFrame(rows, ranked.select("item", "term", F.lit(1).cast("long").alias("need")).schema)
-        found = postings(docs, _either_case({r["term"] for r in rows}), key, text, 0).join(F.broadcast(small), "term")
+        small = spark.createDataFrame([(r["item"], r["term"], r["need"]) for r in rows], ranked.select("item", "term", F.lit(1).cast("long").alias("need")).schema)
+        found = postings(docs, sorted({r["low"] for r in rows}), key, text, 0).join(F.broadcast(small), "term")
         back = Window.partitionBy("doc", "item").orderBy("pos").rangeBetween(-(span - 1), 0)
         last = found.withColumn("seen", F.collect_list(F.struct("term", "pos")).over(back))
         latest = F.transform(F.array_distinct(F.transform("seen", lambda s: s["term"])), lambda t: F.array_max(F.transform(F.filter("seen", lambda s: s["term"] == t), lambda s: s["pos"])))
@@ -168,3 +169,11 @@ def contamination(docs: DataFrame, items: DataFrame, key: str = "doc_id", text:
     sized = docs.select(F.col(key), row.alias("doc"), F.size(words_of(F.col(text))).cast("long").alias("n_words"))
     out = sized.join(each, sized["doc"].eqNullSafe(each["doc"]), "left").select(key, "n_words", F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
     return out.select(key, "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), "items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
+
+
+def without_contaminated(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", size: int = WINDOW) -> DataFrame:
+    """The rows of ``docs`` that hold no window of any item, with their columns as they are. Rows are judged by key and text, so
+    a clean row stays where another with its key goes. A null text holds nothing."""
+    row = F.struct(F.col(key).alias("key"), F.xxhash64(text).alias("of"))
+    hits = keep(phrase_matches(docs, windows(items.where(F.col(item).isNotNull()), item, item_text, size), key, text, base=row).select("doc").distinct(), "hits")
+    return docs.join(hits, row.eqNullSafe(hits["doc"]), "left_anti")

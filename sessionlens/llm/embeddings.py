@@ -24,8 +24,9 @@ from .common import components, discard, keep, running_total, shuffle_width, uni
 THRESHOLD, PASSES, BITS, BLOCK, SEED = 0.93, 8, 60, 256, 42
 #: Share of isolated pairs at the threshold that the passes together are to put in one window (over a uniform background).
 LEVEL = 0.99
-#: Rows of a joined set that one task compares with as many others.
-SET = 4096
+#: Most rows of a joined set that one task compares with as many others; the fewest, and into how many parts a set is cut
+#: before parts grow: a set's rows are copied once for each part.
+SET, SMALL, PARTS = 4096, 256, 64
 
 
 def passes_for(rows: int, threshold: float = THRESHOLD, block: int = BLOCK, least: int = PASSES, level: float = LEVEL) -> int:
@@ -142,7 +143,8 @@ def _pass(rows: DataFrame, turn: int, threshold: float, block: int) -> DataFrame
 def _counts(rows: DataFrame, threshold: float, most: int) -> DataFrame:
     """rep, links: over all pairs of a joined set (root), the rows at the other ends of links."""
     spark = rows.sparkSession
-    sizes = rows.groupBy("root").agg(F.ceil(F.count("*") / most).cast("int").alias("parts"))
+    part = F.greatest(F.lit(min(SMALL, most)), F.least(F.lit(most), F.ceil(F.count("*") / PARTS)))
+    sizes = keep(rows.groupBy("root").agg(F.ceil(F.count("*") / part).cast("int").alias("parts")), "set-sizes")
     cut = rows.join(sizes, "root").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     dealt = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
         "root", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "rep", "times", "v"
@@ -195,7 +197,7 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     component; so is a row with a null key, whose component is null and which is not kept. Rows that repeat both key and
     vector count as other vectors. Unless given, ``passes`` follows from the size of the largest label.
     """
-    given = vectors.select(F.col(key).alias("vec_id"), F.col(label).alias("label"), F.col(vector).cast("array<float>").alias("v"))
+    given = vectors.select(F.col(key).alias("vec_id"), F.col(label).alias("label"), F.col(vector).cast("array<double>").alias("v"))
     one = keep(folded(given), "folded")
     if passes is None:
         passes = passes_for(one.groupBy("label").count().agg(F.max("count")).first()[0] or 0, threshold, block)
@@ -209,6 +211,7 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     links = _counts(joined, threshold, most)
     known = rows.select("label", "v", "rep", "times").join(tree.withColumnRenamed("node", "rep"), "rep", "left").join(links, "rep", "left")
     known = known.select("label", "v", F.coalesce("root", "rep").alias("component_id"), (F.coalesce("links", F.lit(0)) + F.col("times") - 1).alias("n_links"))
+    known = keep(known, "known")  # a table of its own, so that the rows of a common vector can be split
     out = given.join(known, ["label", "v"], "left")
     component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component_id", "vec_id"))
     return out.select(F.col("vec_id").alias(key), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))

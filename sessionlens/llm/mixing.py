@@ -109,11 +109,11 @@ def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str =
     """
     spark = docs.sparkSession
     size = words_in(F.col(text))
-    sized = docs.select(F.col(key), F.col(source).cast("string").alias("source"), size.alias("size"), F.xxhash64(F.col(key), F.col(text), F.lit(seed)).alias("_order"), (F.struct(*carry) if carry else F.lit(None)).alias("_carry"))
+    sized = docs.select(F.col(key), F.col(source).cast("string").alias("source"), size.alias("size"), F.xxhash64(F.col(key), F.col(text), F.lit(seed)).alias("_order"), F.monotonically_increasing_id().alias("_row"), (F.struct(*carry) if carry else F.lit(None)).alias("_carry"))
     sized = keep(sized, "sizes")
     by = targets(sized, weights, budget, most, block)
     named = by.withColumnRenamed("source", "_name")
-    numbered = sized.join(F.broadcast(named), F.col("source").eqNullSafe(F.col("_name"))).drop("source", "_name")
+    numbered = sized.drop("_carry").join(F.broadcast(named), F.col("source").eqNullSafe(F.col("_name"))).drop("source", "_name")
     line = running_total(numbered, ["number", "_order", F.col(key).asc_nulls_last()], "size", "_at", "mix-order")
     first = F.broadcast(by.select("number", (F.sum("source_size").over(Window.orderBy("number").rowsBetween(Window.unboundedPreceding, -1))).alias("_first")))
     line = line.join(first, "number").withColumn("_at", F.col("_at") - F.coalesce("_first", F.lit(0))).drop("_first")
@@ -137,9 +137,12 @@ def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str =
         "_at", "number", ((hi - lo) * F.col("full") + F.greatest(F.least(hi, F.col("b") * block + F.col("part")) - lo, F.lit(0))).alias("w")
     )
     sums = joined.groupBy("number", "_at").agg(F.sum("w").alias("taken"))  # only one row with words starts at a place
-    out = line.join(sums, ["number", "_at"], "left")
-    count = F.when(F.col("size") > 0, F.coalesce("taken", F.lit(0))).otherwise(0).cast("long")
-    return out.select(key, "size", "source_size", "target", count.alias("taken"), *(F.col(f"_carry.{c}").alias(c) for c in carry))
+    some = line.where("size > 0").join(sums, ["number", "_at"], "left").withColumn("taken", F.coalesce("taken", F.lit(0)).cast("long"))
+    columns = [key, "size", "source_size", "target", "taken", "_row"]
+    out = some.select(*columns).unionByName(line.where("size = 0").withColumn("taken", F.lit(0).cast("long")).select(*columns))
+    if carry:  # texts and the like join at the end; only sizes were put in order
+        out = out.join(sized.select("_row", "_carry"), "_row")
+    return out.select(key, "size", "source_size", "target", "taken", *(F.col(f"_carry.{c}").alias(c) for c in carry))
 
 
 def mixed_documents(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import components, keep, shuffle_width, text_batches, union_pairs, with_field
+from .common import components, discard, keep, shuffle_width, slim, text_batches, union_pairs, with_field
 
 SHINGLE, RADIUS, SEED = 4, 4, 42
 #: Children of a tree node; most pairs of nodes that are followed at once; most rows of a task that are indexed at once
@@ -42,6 +42,11 @@ def fingerprint(text: str | None, shingle: int = SHINGLE, seed: int = SEED) -> i
     k = min(shingle, len(words))
     begins = np.concatenate([[0], ends[:-1]])[: len(words) - k + 1].tolist()
     hashes = np.fromiter((xxh64_intdigest(joined[i:j], seed) for i, j in zip(begins, (ends[k - 1 :] - 1).tolist(), strict=True)), np.uint64, len(begins))
+    return majority(hashes)
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The number whose bits are 1 where over half of the hashes have them; of no hashes: 0."""
     ones = np.zeros(64, np.int64)
     for i in range(0, len(hashes), 8192):
         ones += np.unpackbits(hashes[i : i + 8192].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
@@ -57,6 +62,7 @@ def fingerprints(docs: DataFrame, key: str, text: str, shingle: int = SHINGLE, s
         for b in text_batches(batches, "_t"):
             fps = np.array([fingerprint(t, shingle, seed) for t in b.column(1).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps)], names=[key, "fp"])
+        slim()
 
     return given.mapInArrow(make, schema)
 
@@ -193,9 +199,19 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", sh
     A null key never becomes a component's id unless the component has no other.
     """
     prints = keep(fingerprints(docs, key, text, shingle, seed), "fingerprints")
-    nodes = prints.groupBy("fp").agg(F.min(key).alias("_least"))
-    tree = components(keep(hamming_forest(nodes.select("fp"), radius), "links"), "links")
-    rooted = nodes.join(tree.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "_least", F.coalesce("root", "fp").alias("root"))
-    named = rooted.join(rooted.groupBy("root").agg(F.min("_least").alias("component_id")), "root").select("fp", "component_id")
-    out = prints.join(named, "fp")
-    return out.select(key, F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    nodes = keep(prints.groupBy("fp").agg(F.min(key).alias("_least")), "nodes")
+    links = keep(hamming_forest(nodes.select("fp"), radius), "links")
+    named = named_by_least(nodes, components(links, "links"), "fp")
+    discard(links)
+    return prints.join(named, "fp").select(key, F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def named_by_least(nodes: DataFrame, tree: DataFrame, node: str) -> DataFrame:
+    """node, component_id: the least of the column ``_least`` in the node's component; a node outside ``tree`` is alone. A
+    written table, so that joins with it can split the many rows of one node; so are the minima."""
+    rooted = keep(nodes.join(tree.withColumnRenamed("node", node), node, "left").select(node, "_least", F.coalesce("root", node).alias("root")), "rooted")
+    least = keep(rooted.groupBy("root").agg(F.min("_least").alias("component_id")), "least")
+    named = keep(rooted.join(least, "root").select(node, "component_id"), "named")
+    discard(rooted)
+    discard(least)
+    return named

@@ -1,6 +1,9 @@
 """Near copies by the similarity of whole shingle sets: every pair at or above the threshold is found.
 
-1. Each text becomes the set of its word shingles (64-bit hashes); equal sets are folded.
+1. Each text becomes the set of its word shingles (64-bit hashes) and the SimHash fingerprint of that set; equal sets are
+   folded. The hierarchical index in Gray order (``simhash.hamming_forest``) links fingerprints of few differing bits, and
+   whole sets decide about these candidates. This joins most copies; what follows finds the pairs that the index can't
+   reach (at a similarity of 0.8 some ten of 64 bits differ), and skips what is joined already.
 2. The shingles of all sets are put in one order, and each set hands out the first few of its own in that order: as many
    that two sets at or above the threshold must share one of them. Any order is exact; shingles that a sample finds in
    many texts come last, which keeps lists short.
@@ -21,8 +24,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from xxhash import xxh64_intdigest
 
-from .common import components, keep, shuffle_width, text_batches
-from .simhash import _LOWER
+from .common import components, discard, keep, shuffle_width, slim, text_batches
+from .simhash import _LOWER, RADIUS, hamming_forest, majority, named_by_least
 
 #: Words of a shingle; the similarity (intersection over union) as a fraction, so that comparing is exact.
 SHINGLE, SIMILARITY, SEED = 5, (4, 5), 42
@@ -60,23 +63,25 @@ def _common(docs: DataFrame, shingle: int, seed: int) -> np.ndarray:
         for b in text_batches(batches, "text"):
             found = [shingles(t, shingle, seed) for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64))], names=["s"])
+        slim()
 
     often = sample.mapInArrow(each, "s long").groupBy("s").count().where(F.col("count") >= OFTEN).orderBy(F.desc("count"), "s").limit(MOST)
     return np.sort(np.array([r["s"] for r in often.collect()], np.int64).view(np.uint64))
 
 
 def _sets(docs: DataFrame, key: str, similarity: tuple[int, int], shingle: int, seed: int) -> DataFrame:
-    """key, text, node: a hash of the set; n: its size; first: the shingles it hands out, in order."""
+    """key, text, node: a hash of the set; fp: its fingerprint; n: its size; first: the shingles it hands out, in order."""
     p, q = similarity
     last = _common(docs, shingle, seed)
-    schema = T.StructType([docs.schema[key], T.StructField("text", T.StringType()), T.StructField("node", T.LongType()), T.StructField("n", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
+    schema = T.StructType([docs.schema[key], T.StructField("text", T.StringType()), T.StructField("node", T.LongType()), T.StructField("fp", T.LongType()), T.StructField("n", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in text_batches(batches, "text"):
-            node, size, first = [], [], []
+            node, print_, size, first = [], [], [], []
             for t in b.column(1).to_pylist():
                 s = shingles(t, shingle, seed)
                 node.append(xxh64_intdigest(s.tobytes(), seed))
+                print_.append(majority(s))
                 size.append(len(s))
                 if len(s) and len(last):
                     at = np.minimum(np.searchsorted(last, s), len(last) - 1)
@@ -85,7 +90,8 @@ def _sets(docs: DataFrame, key: str, similarity: tuple[int, int], shingle: int,
                 first.append(s[: len(s) + (-p * len(s) // q) + 1 if len(s) else 0].view(np.int64))
             flat = np.concatenate([np.empty(0, np.int64), *first])
             lists = pa.ListArray.from_arrays(np.cumsum([0, *map(len, first)]).astype(np.int32), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.array(node, np.uint64).view(np.int64)), pa.array(size, pa.int64()), lists], names=[key, "text", "node", "n", "first"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in (node, print_)), pa.array(size, pa.int64()), lists], names=[key, "text", "node", "fp", "n", "first"])
+        slim()
 
     return docs.mapInArrow(make, schema)
 
@@ -113,14 +119,14 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
 
 
 def _round(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
-    """a, b: candidate pairs. Rows with a null b are those of long lists: a, s, n, at."""
+    """a, b: candidate pairs of different components (root). Rows with a null b are those of long lists: a, s, n, at."""
 
     def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for s, n, node, at in _grouped(batches):
+        for s, n, node, at, root in _grouped(batches):
             starts = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             length = np.diff(np.append(starts, len(s)))
             length = np.repeat(length, length)
-            s, n, node, at, length = (c[length > 1] for c in (s, n, node, at, length))
+            s, n, node, at, root, length = (c[length > 1] for c in (s, n, node, at, root, length))
             if not len(s):
                 continue
             pairs = []
@@ -128,7 +134,7 @@ def _round(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
                 i = np.flatnonzero((s[d:] == s[:-d]) & ((length[d:] <= SHORT) | (d <= NEXT)))
                 if not len(i):
                     break
-                i = i[_possible(n[i], at[i], n[i + d], at[i + d], similarity)]
+                i = i[(root[i] != root[i + d]) & _possible(n[i], at[i], n[i + d], at[i + d], similarity)]
                 pairs.append(np.stack([node[i], node[i + d]]))
             a, b = np.concatenate(pairs, axis=1) if pairs else np.empty((2, 0), np.int64)
             long = length > SHORT
@@ -136,7 +142,7 @@ def _round(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
             columns = [pa.array(np.concatenate([b, np.zeros(int(long.sum()), np.int64)]), mask=kind), *(pa.array(np.concatenate([np.zeros(len(a), np.int64), c[long]]), mask=~kind) for c in (s, n, at))]
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([a, node[long]])), *columns], names=["a", "b", "s", "n", "at"])
 
-    ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at")
+    ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at", "root")
     return ordered.mapInArrow(pair, "a long, b long, s long, n long, at long")
 
 
@@ -175,26 +181,54 @@ def _links(pairs: DataFrame, sets: DataFrame, similarity: tuple[int, int], shing
                     x, y = shingles(x, shingle, seed), shingles(y, shingle, seed)
                     good.append((p + q) * len(np.intersect1d(x, y, assume_unique=True)) >= p * (len(x) + len(y)))
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(good))
+        slim()
+
+    links = keep(both.select("a", "b", "ta", "tb").mapInArrow(check, "a long, b long"), "links")
+    discard(pairs)
+    discard(texts)
+    return links
+
 
-    return keep(both.select("a", "b", "ta", "tb").mapInArrow(check, "a long, b long"), "links")
+def _close(nodes: DataFrame, radius: int) -> DataFrame:
+    """a, b: candidate pairs from the fingerprints: those of the index's forest, and nodes of one fingerprint with their least."""
+    prints = keep(nodes.groupBy("fp").agg(F.min("node").alias("head")), "prints")
+    forest = hamming_forest(prints.select("fp"), radius)
+    ends = forest.join(prints.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(prints.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b")
+    same = nodes.join(prints, "fp").where("node <> head").select("node", "head")
+    return ends.select(F.col("x").alias("a"), F.col("y").alias("b")).union(same)
 
 
-def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", similarity: tuple[int, int] = SIMILARITY, shingle: int = SHINGLE, seed: int = SEED) -> DataFrame:
+def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", similarity: tuple[int, int] = SIMILARITY, shingle: int = SHINGLE, seed: int = SEED, radius: int = RADIUS) -> DataFrame:
     """key, component_id: the least key that chains of texts at or above the similarity reach; one row for each row of
     ``docs``. Texts without words are alike. A null key is a component's id only where the component has no other."""
     given = docs.select(F.col(key), F.col(text).alias("text"))
     sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
-    nodes = sets.groupBy("node").agg(F.first("n").alias("n"), F.first("first").alias("first"))
-    lists = nodes.select("node", "n", F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
+    nodes = keep(sets.groupBy("node").agg(F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("first").alias("first"), F.min(key).alias("_least")), "nodes")
+    edges = _links(_close(nodes, radius), sets, similarity, shingle, seed)
+    tree = keep(components(edges, "links"), "roots")
+    root = F.coalesce("root", "node").alias("root")
+    lists = nodes.join(tree, "node", "left").select("node", "n", root, F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
     found = keep(_round(lists, similarity), "pairs")
-    edges = _links(found.where("b is not null").select("a", "b"), sets, similarity, shingle, seed)
+    more = _links(found.where("b is not null").select("a", "b"), sets, similarity, shingle, seed)
+    edges = edges.union(more)
     tree = keep(components(edges, "links"), "roots")
     long = found.where("b is null").select(F.col("a").alias("node"), "s", "n", "at")
     if not long.isEmpty():
-        rooted = long.join(tree, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        rooted = long.join(tree, "node", "left").select("node", "s", "n", "at", root)
         edges = edges.union(_links(_apart(rooted, similarity), sets, similarity, shingle, seed))
         tree = keep(components(edges, "links"), "roots")
-    least = sets.groupBy("node").agg(F.min(key).alias("_least"))
-    rooted = least.join(tree, "node", "left").select("node", "_least", F.coalesce("root", "node").alias("root"))
-    named = rooted.join(rooted.groupBy("root").agg(F.min("_least").alias("component_id")), "root").select("node", "component_id")
+    named = named_by_least(nodes.select("node", "_least"), tree, "node")
+    discard(found)
+    discard(nodes)
     return sets.select(key, "node").join(named, "node").select(key, "component_id")
+
+
+def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    """The rows of ``docs`` without near copies: of each component the row with the least key (nulls last) and, where a key
+    is repeated, the least text hash. Rows that share key and text are one document and stay once."""
+    names = docs.columns
+    row = F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("key"), F.xxhash64(text).alias("of"))
+    given = docs.withColumn("_row", row)
+    found = near_copies(given.select("_row", F.col(text).alias("text")), "_row", "text", **options)
+    kept = keep(found.where("_row = component_id").select("_row").distinct(), "kept")
+    return given.join(kept, "_row", "left_semi").dropDuplicates(["_row"]).select(*names)

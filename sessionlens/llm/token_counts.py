@@ -8,27 +8,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_batches, with_field
+from .common import text_values
 from .tokens import counter
 
 #: The file of the public tokenizer, and the most tokens that a context takes.
 MODEL, LIMIT = "piece_bpe_32k.model", 4096
 
 
-def count_tokens(docs: DataFrame, text: str = "text", model: str = MODEL, limit: int = LIMIT, batch_bytes: int = 8_000_000) -> DataFrame:
+def count_tokens(docs: DataFrame, text: str = "text", model: str = MODEL, limit: int = LIMIT, batch_bytes: int = 2_000_000) -> DataFrame:
     """Adds n_bytes, n_tokens and over_limit to every row of ``docs``; columns with these names are replaced.
 
     A null text counts as empty: 0 bytes, 0 tokens, not over the limit. Rows, their order in a partition and all
-    other columns stay. Python returns one number for each text; ids never leave the worker.
+    other columns stay. Only texts go to Python, which returns one number for each; ids never leave the worker.
     """
-    docs = docs.drop("n_bytes", "n_tokens", "over_limit")
-    schema = with_field(docs.schema, "n_tokens", "long")
 
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def each(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         count = counter(model)
-        for b in text_batches(batches, text, batch_bytes):
-            n = count(b.column(b.schema.get_field_index(text)))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(n, pa.int64())], names=[*b.schema.names, "n_tokens"])
+        yield from text_values(texts, lambda ts: pa.array(count(ts), pa.int64()), batch_bytes)
 
-    out = docs.mapInArrow(add, schema)
+    out = docs.drop("n_bytes", "over_limit").withColumn("n_tokens", F.arrow_udf(each, "long")(F.col(text)))
     return out.withColumn("n_bytes", F.coalesce(F.octet_length(text), F.lit(0)).cast("long")).withColumn("over_limit", F.col("n_tokens") > limit)

@@ -1,7 +1,7 @@
 """Public tokenizers run over whole texts in Arrow batches, through a bounded memo of text units.
 
 A text is cut at boundaries that no token can cross, and each unit between two boundaries is encoded by the
-library once for as long as the memo holds it. The boundaries are safe for these reasons:
+library once for as long as the memo, an array of fixed size, holds it. The boundaries are safe for these reasons:
 
 * byte-level BPE (``tokenizers``): its pattern starts a new piece at a single space that stands between two
   characters that are not white space, and at a single line feed between two such characters. Units keep the space
@@ -25,7 +25,10 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from .common import TwoGenerations
+from .common import UnitCache
+
+#: Ids of a unit that the memo holds; units with more are encoded each time.
+FEW = 7
 
 #: White space next to a space or a line feed, or at either end: such a text takes the slower, careful way.
 _WHITE = r"[\p{Z}\x09-\x0d\x1c-\x1f\x{85}]"
@@ -55,7 +58,7 @@ def _file(name: str) -> str:
 class ByteBpe:
     """Encodes texts as little-endian ids, each ``width`` bytes wide, exactly as the library does without added specials."""
 
-    def __init__(self, name: str, limit: int = 500_000):
+    def __init__(self, name: str, entries: int = 1 << 20):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -66,8 +69,8 @@ class ByteBpe:
         #: Plain letters with or without marks behind them can go straight to the library's merges.
         self.direct = self.lib.normalizer is None and type(pre).__name__ == "ByteLevel" and not pre.add_prefix_space and not self.lib.model.dropout
         self.tails: dict[str, list[int]] = {"": []}
-        #: A key that begins with a line feed is a unit that follows one; any other follows a space.
-        self.memo = TwoGenerations(self._make_keys, limit)
+        #: A key that begins with a line feed is a unit that follows one; any other follows a space. A row: how many ids, the ids.
+        self.memo = UnitCache(1 + FEW, self.kind, entries)
         self.feed = self._plain([_BREAK])[0]
 
     def _plain(self, units: Sequence[str]) -> list[bytes]:
@@ -98,6 +101,24 @@ class ByteBpe:
             out[k] = got
         return out
 
+    def _known(self, keys: Sequence[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """An array of ids, where in it the ids of each key begin, and how many they are."""
+        hit, rows, hashes = self.memo.get(keys)
+        lens, starts = rows[:, 0].astype(np.int64), np.arange(len(keys), dtype=np.int64) * FEW
+        new = np.flatnonzero(~hit)
+        made = self._make_keys([keys[i] for i in new.tolist()])
+        more = np.frombuffer(b"".join(made), self.kind)
+        lens[new] = n = np.fromiter(map(len, made), np.int64, len(made)) // self.kind.itemsize
+        starts[new] = begins = len(keys) * FEW + np.cumsum(n) - n
+        short = np.flatnonzero(n <= FEW)
+        put = np.zeros((len(short), 1 + FEW), self.kind)
+        put[:, 0] = n[short]
+        for k in range(FEW):
+            some = n[short] > k
+            put[some, 1 + k] = more[(begins[short] - len(keys) * FEW)[some] + k]
+        self.memo.put(hashes[new[short]], put)
+        return np.concatenate([rows[:, 1:].ravel(), more]), starts, lens
+
     def encode(self, texts: Sequence[str]) -> tuple[np.ndarray, np.ndarray]:
         """The ids of all texts one after another, and where each text begins and the last ends."""
         given = arrow(texts)
@@ -112,11 +133,9 @@ class ByteBpe:
             whole = lists.to_pylist()
             lists = pa.array([careful.get(k, whole[k]) for k in range(len(given))], lists.type)
         units = pc.dictionary_encode(lists.values)
-        made = self.memo.all(units.dictionary.to_numpy(zero_copy_only=False).tolist())
-        ids = np.frombuffer(b"".join(made), self.kind)
-        lens = np.fromiter(map(len, made), np.int64, len(made)) // self.kind.itemsize
+        ids, starts, lens = self._known(units.dictionary.to_numpy(zero_copy_only=False).tolist())
         at = units.indices.to_numpy(zero_copy_only=False)
-        flat, ends = gather(ids, np.cumsum(lens) - lens, lens, at)
+        flat, ends = gather(ids, starts, lens, at)
         offsets = np.concatenate([[0], ends])[np.asarray(lists.offsets)]
         heads = len(self.feed) // self.kind.itemsize  # of the line feed put before each text
         cut = np.ones(len(flat), bool)
@@ -142,14 +161,14 @@ def gather(values: np.ndarray, starts: np.ndarray, lens: np.ndarray, at: np.ndar
 class PieceBpe:
     """Counts the pieces of texts exactly as the library gives them, without begin and end marks."""
 
-    def __init__(self, name: str, limit: int = 500_000):
+    def __init__(self, name: str, entries: int = 1 << 20):
         import sentencepiece
 
         self.lib = sentencepiece.SentencePieceProcessor(model_file=_file(name))
         pieces = (self.lib.id_to_piece(i) for i in range(self.lib.get_piece_size()))
         plain = self.lib.encode("a  b", out_type=str) + self.lib.encode("", out_type=str) == ["▁a", "▁", "▁b"]
         self.cut = plain and not any("▁" in p.lstrip("▁") or " " in p for p in pieces)
-        self.memo = TwoGenerations(lambda us: [len(x) for x in self.lib.encode(us, num_threads=1)], limit)
+        self.memo = UnitCache(1, np.dtype(np.uint32), entries)
 
     def count(self, texts: Sequence[str]) -> list[int]:
         if not self.cut:
@@ -162,7 +181,11 @@ class PieceBpe:
             whole = lists.to_pylist()
             lists = pa.array([careful.get(k, whole[k]) for k in range(len(given))], lists.type)
         units = pc.dictionary_encode(lists.values)
-        lens = np.asarray(self.memo.all(units.dictionary.to_numpy(zero_copy_only=False).tolist()), np.int64)
+        keys = units.dictionary.to_numpy(zero_copy_only=False).tolist()
+        hit, rows, hashes = self.memo.get(keys)
+        lens, new = rows[:, 0].astype(np.int64), np.flatnonzero(~hit)
+        lens[new] = [len(x) for x in self.lib.encode([keys[i] for i in new.tolist()], num_threads=1)]
+        self.memo.put(hashes[new], lens[new, None].astype(np.uint32))
         sums = np.concatenate([[0], np.cumsum(lens[units.indices.to_numpy(zero_copy_only=False)])])
         return np.diff(sums[np.asarray(lists.offsets)]).tolist()
 
@@ -170,8 +193,8 @@ class PieceBpe:
 class PlainCount:
     """Counts the ids of a ``tokenizers`` file: the lengths of what ``ByteBpe`` gives, or of plain calls for other kinds."""
 
-    def __init__(self, name: str, limit: int = 500_000):
-        self.byte = ByteBpe(name, limit)
+    def __init__(self, name: str, entries: int = 1 << 20):
+        self.byte = ByteBpe(name, entries)
         self.cut = self.byte.direct
 
     def count(self, texts: Sequence[str]) -> list[int]:

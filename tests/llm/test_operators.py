@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from conftest import SMALL
 from sessionlens.llm import chat_format, content_store, decontaminate, embeddings, html_text, mixing, queries, simhash, similarity, token_counts, toxicity, url_filters
-from sessionlens.llm.common import TwoGenerations, components, running_total, union_pairs
+from sessionlens.llm.common import UnitCache, components, running_total, union_pairs
 from sessionlens.llm.tokens import ByteBpe, PieceBpe
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -45,8 +45,30 @@ def test_running_total_and_components(spark):
     found = {r["node"]: r["root"] for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert found == {n: parent[n] for e in edges if e[0] != e[1] for n in e}
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
-    memo = TwoGenerations(lambda ks: [k * 2 for k in ks], 3)
-    assert [memo.all(list(range(i, i + 5))) for i in range(4)] == [[2 * j for j in range(i, i + 5)] for i in range(4)]
+
+
+def test_the_cache_of_units_gives_what_was_put_and_never_grows():
+    cache, size = UnitCache(2, np.dtype(np.uint16), 1 << 10), None
+    for i in range(40):
+        keys = [f"k{j}" for j in range(100 * i, 100 * i + 300)] + ["always"]
+        hit, rows, hashes = cache.get(keys)
+        want = np.array([[len(k), int(k[1:]) % 999 if k != "always" else 7] for k in keys], np.uint16)
+        assert (rows[hit] == want[hit]).all() and (hit.sum() > 50 or i == 0)
+        cache.put(hashes[~hit], want[~hit])
+        size = size or cache.tags.nbytes + cache.values.nbytes
+        assert cache.tags.nbytes + cache.values.nbytes == size
+    assert not UnitCache(1, np.dtype(np.uint32), 4).get([])[0].size
+
+
+def test_many_different_units_do_not_make_a_worker_large():
+    def held(bpe):
+        return bpe.memo.tags.nbytes + bpe.memo.values.nbytes
+
+    for make, call in ((lambda: ByteBpe("byte_bpe_50k.json"), "encode"), (lambda: PieceBpe("piece_bpe_32k.model"), "count")):
+        bpe = make()
+        for i in range(0, 200_000, 20_000):  # each long unit is new
+            getattr(bpe, call)([" ".join(f"{j:x}" * 6 for j in range(i, i + 20_000))])
+        assert held(bpe) <= 34_000_000
 
 
 # ---- 1
@@ -394,7 +416,7 @@ def test_a_damaged_chunk_is_noticed(spark):
     good = store.chunks
 
     class Bad:
-        spark, width, recipes = store.spark, store.width, store.recipes
+        spark, width, kind, recipes, blocks = store.spark, store.width, store.kind, store.recipes, store.blocks
         chunks = good.withColumn("payload", F.when(F.octet_length("payload") > 1000, F.concat(F.lit(b"\x01\x02"), F.expr("substring(payload, 3)"))).otherwise(F.col("payload")))
 
     found = {r["doc_id"]: r["verified"] for r in content_store.read_back(Bad).collect()}
@@ -418,12 +440,9 @@ def test_each_stage_is_its_brute_force(spark):
     texts = dict(zip(pdf["doc_id"], pdf["text"], strict=True))
     w = toxicity.fit(spark.read.parquet(f"{SMALL}/documents.parquet"), spark.read.parquet(f"{SMALL}/labels.parquet").where(~toxicity.held_out()))
     assert ids[1] == {d for d in ids[0] if w.score(w.dense(), texts[d]) < 0.7}
-    fps = brute_prints((d, texts[d]) for d in ids[1])
     order = sorted(ids[1])
-    c = np.array([fps[i] for i in order], np.uint64)
-    parent = np.arange(len(c))
-    union_pairs(parent, *np.nonzero(np.triu(np.bitwise_count(c[:, None] ^ c[None, :]) <= 4, 1)))
-    assert ids[2] == {order[k] for k in np.flatnonzero(parent == np.arange(len(c)))}
+    parent = alike(word_sets([texts[d] for d in order]))
+    assert ids[2] == {order[k] for k in np.flatnonzero(parent == np.arange(len(order)))}
     low = lambda s: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", s.translate({k: k + 32 for k in range(65, 91)}))
     windows = defaultdict(set)
     for r in spark.read.parquet(f"{SMALL}/benchmark.parquet").collect():
