@@ -7,9 +7,9 @@
 2. The shingles of all sets are put in one order, and each set hands out the first few of its own in that order: as many
    that two sets at or above the threshold must share one of them. Any order is exact; shingles that a sample finds in
    many texts come last, which keeps lists short.
-3. The lists of a shared shingle give candidates, after bounds from the sizes and places. Short lists give all their
-   pairs. Of long ones neighbours are paired first; what these have joined needs no comparing, and the second round
-   pairs only sets that lie in different components.
+3. The lists of a shared shingle give candidates, after bounds from the sizes and places. Neighbours in a list are paired
+   first; what these have joined needs no comparing, and the second round pairs only sets of a list that still lie in
+   different components. So a large group of near copies gives candidates in proportion to its rows.
 4. Candidates are compared by their whole sets, and star contractions join the links.
 """
 
@@ -29,9 +29,9 @@ from .simhash import _LOWER, RADIUS, hamming_forest, majority, named_by_least
 
 #: Words of a shingle; the similarity (intersection over union) as a fraction, so that comparing is exact.
 SHINGLE, SIMILARITY, SEED = 5, (4, 5), 42
-#: Longest list that gives all its pairs at once; neighbours paired in longer ones; rows held by a task at once (more
-#: only where one list has more).
-SHORT, NEXT, ROWS = 32, 4, 400_000
+#: Longest list whose pairs are looked at together with those of other lists; rows held by a task at once (more only
+#: where one list has more).
+SHORT, ROWS = 32, 400_000
 #: A text in SAMPLE is looked at for common shingles; those in OFTEN of them or more, MOST at most, come last. These
 #: change the cost only.
 SAMPLE, OFTEN, MOST = 16, 8, 100_000
@@ -119,40 +119,43 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
 
 
 def _round(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
-    """a, b: candidate pairs of different components (root). Rows with a null b are those of long lists: a, s, n, at."""
+    """a, b: candidates, neighbours in a list that lie in different components (root). Rows with a null b are those of lists
+    of three or more in several components: a, s, n, at."""
 
     def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for s, n, node, at, root in _grouped(batches):
-            starts = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
-            length = np.diff(np.append(starts, len(s)))
-            length = np.repeat(length, length)
-            s, n, node, at, root, length = (c[length > 1] for c in (s, n, node, at, root, length))
-            if not len(s):
-                continue
-            pairs = []
-            for d in range(1, SHORT):
-                i = np.flatnonzero((s[d:] == s[:-d]) & ((length[d:] <= SHORT) | (d <= NEXT)))
-                if not len(i):
-                    break
-                i = i[(root[i] != root[i + d]) & _possible(n[i], at[i], n[i + d], at[i + d], similarity)]
-                pairs.append(np.stack([node[i], node[i + d]]))
-            a, b = np.concatenate(pairs, axis=1) if pairs else np.empty((2, 0), np.int64)
-            long = length > SHORT
-            kind = np.repeat([False, True], [len(a), int(long.sum())])
-            columns = [pa.array(np.concatenate([b, np.zeros(int(long.sum()), np.int64)]), mask=kind), *(pa.array(np.concatenate([np.zeros(len(a), np.int64), c[long]]), mask=~kind) for c in (s, n, at))]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([a, node[long]])), *columns], names=["a", "b", "s", "n", "at"])
+            same = s[1:] == s[:-1]
+            i = np.flatnonzero(same & (root[1:] != root[:-1]))
+            starts = np.flatnonzero(np.concatenate([[True], ~same]))
+            length, mixed = np.diff(np.append(starts, len(s))), np.zeros(len(starts), bool)
+            mixed[np.searchsorted(starts, i, side="right") - 1] = True
+            open_ = np.repeat(mixed & (length > 2), length)
+            i = i[_possible(n[i], at[i], n[i + 1], at[i + 1], similarity)]
+            kind = np.repeat([False, True], [len(i), int(open_.sum())])
+            zeros = np.zeros(len(i), np.int64)
+            columns = [pa.array(np.concatenate([node[i + 1], np.zeros(int(open_.sum()), np.int64)]), mask=kind), *(pa.array(np.concatenate([zeros, c[open_]]), mask=~kind) for c in (s, n, at))]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([node[i], node[open_]])), *columns], names=["a", "b", "s", "n", "at"])
+        slim()
 
     ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at", "root")
     return ordered.mapInArrow(pair, "a long, b long, s long, n long, at long")
 
 
 def _apart(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
-    """a, b: the candidate pairs of long lists whose ends lie in different components (root)."""
+    """a, b: the candidate pairs of lists whose ends lie in different components (root)."""
 
     def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for s, n, node, at, root in _grouped(batches):
-            starts = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]])).tolist()
-            for i, end in zip(starts, [*starts[1:], len(s)], strict=True):
+            starts = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
+            length = np.diff(np.append(starts, len(s)))
+            short = np.repeat(length <= SHORT, length)
+            for d in range(2, SHORT):  # neighbours have been compared
+                i = np.flatnonzero((s[d:] == s[:-d]) & short[d:] & (root[d:] != root[:-d]))
+                i = i[_possible(n[i], at[i], n[i + d], at[i + d], similarity)]
+                if len(i):
+                    yield pa.RecordBatch.from_arrays([pa.array(node[i]), pa.array(node[i + d])], names=["a", "b"])
+            for i, many in zip(starts[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
+                end = i + many
                 if (root[i:end] == root[i]).all():
                     continue
                 for k in range(i, end, 256):
@@ -160,17 +163,18 @@ def _apart(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
                     p, r = np.nonzero((x < y) & (root[x] != root[y]) & _possible(n[x], at[x], n[y], at[y], similarity))
                     if len(p):
                         yield pa.RecordBatch.from_arrays([pa.array(node[k + p]), pa.array(node[k + r])], names=["a", "b"])
+        slim()
 
     ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at", "root")
     return ordered.mapInArrow(pair, "a long, b long")
 
 
-def _links(pairs: DataFrame, sets: DataFrame, similarity: tuple[int, int], shingle: int, seed: int) -> DataFrame:
+def _links(pairs: DataFrame, nodes: DataFrame, similarity: tuple[int, int], shingle: int, seed: int) -> DataFrame:
     """The pairs whose whole sets reach the similarity."""
     p, q = similarity
     pairs = keep(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
     ends = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    texts = keep(sets.select("node", "text").join(ends, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text")), "texts")
+    texts = keep(nodes.select("node", "text").join(ends, "node", "left_semi"), "texts")
     both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -203,19 +207,20 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     ``docs``. Texts without words are alike. A null key is a component's id only where the component has no other."""
     given = docs.select(F.col(key), F.col(text).alias("text"))
     sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
-    nodes = keep(sets.groupBy("node").agg(F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("first").alias("first"), F.min(key).alias("_least")), "nodes")
-    edges = _links(_close(nodes, radius), sets, similarity, shingle, seed)
+    nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "n", "first")).alias("r"), F.min(key).alias("_least"))
+    nodes = keep(nodes.select("node", "r.*", "_least"), "nodes")
+    edges = _links(_close(nodes, radius), nodes, similarity, shingle, seed)
     tree = keep(components(edges, "links"), "roots")
     root = F.coalesce("root", "node").alias("root")
     lists = nodes.join(tree, "node", "left").select("node", "n", root, F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
     found = keep(_round(lists, similarity), "pairs")
-    more = _links(found.where("b is not null").select("a", "b"), sets, similarity, shingle, seed)
+    more = _links(found.where("b is not null").select("a", "b"), nodes, similarity, shingle, seed)
     edges = edges.union(more)
     tree = keep(components(edges, "links"), "roots")
-    long = found.where("b is null").select(F.col("a").alias("node"), "s", "n", "at")
-    if not long.isEmpty():
-        rooted = long.join(tree, "node", "left").select("node", "s", "n", "at", root)
-        edges = edges.union(_links(_apart(rooted, similarity), sets, similarity, shingle, seed))
+    left = found.where("b is null").select(F.col("a").alias("node"), "s", "n", "at")
+    if not left.isEmpty():
+        rooted = left.join(tree, "node", "left").select("node", "s", "n", "at", root)
+        edges = edges.union(_links(_apart(rooted, similarity), nodes, similarity, shingle, seed))
         tree = keep(components(edges, "links"), "roots")
     named = named_by_least(nodes.select("node", "_least"), tree, "node")
     discard(found)
