@@ -8,8 +8,10 @@
    that two sets at or above the threshold must share one of them. Any order is exact; shingles that a sample finds in
    many texts come last, which keeps lists short.
 3. The lists of a shared shingle give candidates, after bounds from the sizes and places. Neighbours in a list are paired
-   first; what these have joined needs no comparing, and the second round pairs only sets of a list that still lie in
-   different components. So a large group of near copies gives candidates in proportion to its rows.
+   first; what these have joined needs no comparing, and later rounds pair only sets of a list that still lie in
+   different components and whose parity bitmaps (which can't differ in more bits than the sets in shingles) allow it.
+   ``TREES`` rounds take a spanning forest of these pairs, so a large group of near copies gives candidates in proportion
+   to its rows; the last round takes every pair that is left.
 4. Candidates are compared by their whole sets, and star contractions join the links.
 """
 
@@ -24,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from xxhash import xxh64_intdigest
 
-from .common import components, discard, keep, shuffle_width, slim, text_batches
+from .common import components, discard, keep, shuffle_width, slim, text_batches, union_pairs
 from .simhash import _LOWER, RADIUS, hamming_forest, majority, named_by_least
 
 #: Words of a shingle; the similarity (intersection over union) as a fraction, so that comparing is exact.
@@ -32,6 +34,8 @@ SHINGLE, SIMILARITY, SEED = 5, (4, 5), 42
 #: Longest list whose pairs are looked at together with those of other lists; rows held by a task at once (more only
 #: where one list has more).
 SHORT, ROWS = 32, 400_000
+#: Rounds that take a forest of the pairs left before all are taken; bits of a set's parity bitmap.
+TREES, BITMAP = 1, 512
 #: A text in SAMPLE is looked at for common shingles; those in OFTEN of them or more, MOST at most, come last. These
 #: change the cost only.
 SAMPLE, OFTEN, MOST = 16, 8, 100_000
@@ -70,18 +74,20 @@ def _common(docs: DataFrame, shingle: int, seed: int) -> np.ndarray:
 
 
 def _sets(docs: DataFrame, key: str, similarity: tuple[int, int], shingle: int, seed: int) -> DataFrame:
-    """key, text, node: a hash of the set; fp: its fingerprint; n: its size; first: the shingles it hands out, in order."""
+    """key, text, node: a hash of the set; fp: its fingerprint; parity: its bitmap; n: its size; first: the shingles it hands
+    out, in order."""
     p, q = similarity
     last = _common(docs, shingle, seed)
-    schema = T.StructType([docs.schema[key], T.StructField("text", T.StringType()), T.StructField("node", T.LongType()), T.StructField("fp", T.LongType()), T.StructField("n", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
+    schema = T.StructType([docs.schema[key], T.StructField("text", T.StringType()), T.StructField("node", T.LongType()), T.StructField("fp", T.LongType()), T.StructField("parity", T.BinaryType()), T.StructField("n", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in text_batches(batches, "text"):
-            node, print_, size, first = [], [], [], []
+            node, print_, parity, size, first = [], [], [], [], []
             for t in b.column(1).to_pylist():
                 s = shingles(t, shingle, seed)
                 node.append(xxh64_intdigest(s.tobytes(), seed))
                 print_.append(majority(s))
+                parity.append(np.packbits(np.bincount((s >> np.uint64(20)) & np.uint64(BITMAP - 1), minlength=BITMAP).astype(np.uint8) & 1).tobytes())
                 size.append(len(s))
                 if len(s) and len(last):
                     at = np.minimum(np.searchsorted(last, s), len(last) - 1)
@@ -90,7 +96,7 @@ def _sets(docs: DataFrame, key: str, similarity: tuple[int, int], shingle: int,
                 first.append(s[: len(s) + (-p * len(s) // q) + 1 if len(s) else 0].view(np.int64))
             flat = np.concatenate([np.empty(0, np.int64), *first])
             lists = pa.ListArray.from_arrays(np.cumsum([0, *map(len, first)]).astype(np.int32), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in (node, print_)), pa.array(size, pa.int64()), lists], names=[key, "text", "node", "fp", "n", "first"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in (node, print_)), pa.array(parity, pa.binary()), pa.array(size, pa.int64()), lists], names=[key, "text", "node", "fp", "parity", "n", "first"])
         slim()
 
     return docs.mapInArrow(make, schema)
@@ -103,10 +109,10 @@ def _possible(n: np.ndarray, at: np.ndarray, m: np.ndarray, bt: np.ndarray, simi
 
 
 def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
-    """Columns of rows sorted by the first one, cut so that no group is split."""
+    """Columns of rows sorted by the first one, cut so that no group is split; a bitmap gives a row of numbers."""
     held = None
     for b in batches:
-        now = [c.to_numpy(zero_copy_only=False).astype(np.int64) for c in b.columns]
+        now = [np.frombuffer(b"".join(c.to_pylist()), np.uint64).reshape(-1, BITMAP // 64) if pa.types.is_binary(c.type) else c.to_numpy(zero_copy_only=False).astype(np.int64) for c in b.columns]
         held = now if held is None else [np.concatenate([h, c]) for h, c in zip(held, now, strict=True)]
         if len(held[0]) >= ROWS:
             change = np.flatnonzero(held[0][1:] != held[0][:-1])
@@ -141,31 +147,67 @@ def _round(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
     return ordered.mapInArrow(pair, "a long, b long, s long, n long, at long")
 
 
-def _apart(lists: DataFrame, similarity: tuple[int, int]) -> DataFrame:
-    """a, b: the candidate pairs of lists whose ends lie in different components (root)."""
+def _forest(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Which of the pairs (places in ``parent``) join all that the pairs join; each set takes its first pair, until none is
+    left. ``parent`` is joined accordingly."""
+    left, chosen = np.arange(len(a)), [np.empty(0, np.int64)]
+    while True:
+        x, y = parent[a[left]], parent[b[left]]
+        left, x, y = left[x != y], x[x != y], y[x != y]
+        if not len(left):
+            return np.concatenate(chosen)
+        first = np.full(len(parent), len(left))
+        np.minimum.at(first, x, np.arange(len(left)))
+        np.minimum.at(first, y, np.arange(len(left)))
+        pick = left[np.unique(first[first < len(left)])]
+        chosen.append(pick)
+        union_pairs(parent, a[pick], b[pick])
+
+
+def _apart(lists: DataFrame, similarity: tuple[int, int], forest: bool, turn: int = 0) -> DataFrame:
+    """a, b: the candidate pairs of lists whose ends lie in different components (root), all of them or a spanning forest;
+    turns begin with other pairs."""
+    p, q = similarity
 
     def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for s, n, node, at, root in _grouped(batches):
+        for s, n, node, at, root, parity in _grouped(batches):
+            own, place = np.unique(node, return_inverse=True)
+            roots = np.empty(len(own), np.int64)
+            roots[place] = root
+            _, first, of = np.unique(roots, return_index=True, return_inverse=True)
+            parent, rng = first[of], np.random.default_rng(turn)
+
+            def good(x, y):
+                some = (parent[place[x]] != parent[place[y]]) & _possible(n[x], at[x], n[y], at[y], similarity)
+                x, y = x[some], y[some]
+                near = (p + q) * np.bitwise_count(parity[x] ^ parity[y]).sum(axis=1, dtype=np.int64) <= (q - p) * (n[x] + n[y])
+                x, y = x[near], y[near]
+                if forest:
+                    mixed = rng.permutation(len(x)) if turn else np.arange(len(x))
+                    x, y = x[mixed], y[mixed]
+                    some = _forest(parent, place[x], place[y])
+                    x, y = x[some], y[some]
+                return pa.RecordBatch.from_arrays([pa.array(node[x]), pa.array(node[y])], names=["a", "b"])
+
             starts = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             length = np.diff(np.append(starts, len(s)))
             short = np.repeat(length <= SHORT, length)
             for d in range(2, SHORT):  # neighbours have been compared
-                i = np.flatnonzero((s[d:] == s[:-d]) & short[d:] & (root[d:] != root[:-d]))
-                i = i[_possible(n[i], at[i], n[i + d], at[i + d], similarity)]
-                if len(i):
-                    yield pa.RecordBatch.from_arrays([pa.array(node[i]), pa.array(node[i + d])], names=["a", "b"])
+                i = np.flatnonzero((s[d:] == s[:-d]) & short[d:])
+                if not len(i):
+                    break
+                yield good(i, i + d)
             for i, many in zip(starts[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
                 end = i + many
-                if (root[i:end] == root[i]).all():
-                    continue
                 for k in range(i, end, 256):
-                    x, y = np.arange(k, min(k + 256, end))[:, None], np.arange(k, end)[None, :]
-                    p, r = np.nonzero((x < y) & (root[x] != root[y]) & _possible(n[x], at[x], n[y], at[y], similarity))
-                    if len(p):
-                        yield pa.RecordBatch.from_arrays([pa.array(node[k + p]), pa.array(node[k + r])], names=["a", "b"])
+                    if (parent[place[i:end]] == parent[place[i]]).all():
+                        break
+                    x, y = np.nonzero((np.arange(k, min(k + 256, end))[:, None] < np.arange(k, end)[None, :]) & (parent[place[k : k + 256][: end - k]][:, None] != parent[place[k:end]][None, :]))
+                    if len(x):
+                        yield good(x + k, y + k)
         slim()
 
-    ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at", "root")
+    ordered = lists.repartition(shuffle_width(lists.sparkSession), "s").sortWithinPartitions("s", "n", "node").select("s", "n", "node", "at", "root", "parity")
     return ordered.mapInArrow(pair, "a long, b long")
 
 
@@ -207,7 +249,7 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     ``docs``. Texts without words are alike. A null key is a component's id only where the component has no other."""
     given = docs.select(F.col(key), F.col(text).alias("text"))
     sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
-    nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "n", "first")).alias("r"), F.min(key).alias("_least"))
+    nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "parity", "n", "first")).alias("r"), F.min(key).alias("_least"))
     nodes = keep(nodes.select("node", "r.*", "_least"), "nodes")
     edges = _links(_close(nodes, radius), nodes, similarity, shingle, seed)
     tree = keep(components(edges, "links"), "roots")
@@ -219,9 +261,14 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     tree = keep(components(edges, "links"), "roots")
     left = found.where("b is null").select(F.col("a").alias("node"), "s", "n", "at")
     if not left.isEmpty():
-        rooted = left.join(tree, "node", "left").select("node", "s", "n", "at", root)
-        edges = edges.union(_links(_apart(rooted, similarity), nodes, similarity, shingle, seed))
-        tree = keep(components(edges, "links"), "roots")
+        left = keep(left.join(nodes.select("node", "parity"), "node"), "lists")
+        for turn in range(TREES + 1):
+            rooted = left.join(tree, "node", "left").select("node", "s", "n", "at", "parity", root)
+            more = _links(_apart(rooted, similarity, turn < TREES, turn), nodes, similarity, shingle, seed)
+            if not more.isEmpty():
+                edges = edges.union(more)
+                tree = keep(components(edges, "links"), "roots")
+        discard(left)
     named = named_by_least(nodes.select("node", "_least"), tree, "node")
     discard(found)
     discard(nodes)
