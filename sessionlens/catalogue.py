@@ -7,14 +7,16 @@ from collections.abc import Callable
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .operators import cleaning, clustering, features, measures, relational, sessionize
 from .plans import workloads
-from .plans.stage import settle
-from .sources.logs import events_requests, fuse_logs, order_requests, parse_log, render_log, table, weblog
+from .plans.stage import settle, shared
+from .sources.logs import events_requests, fuse_logs, order_requests, parse_log, read_delimited, read_log_text, render_log, table, weblog, write_by_date
 from .streaming import live
 
 MIN30, DAY = 30 * sessionize.MINUTE, sessionize.DAY
+BETAS = (MIN30, 6 * sessionize.HOUR, 12 * sessionize.HOUR, DAY)
 _Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 _SQL: dict[str, str] = {}
 
@@ -59,8 +61,8 @@ def gap_sql(beta: int, req: str = REQ, name: str = "sess") -> str:
 {name} AS (SELECT *, CAST(sum(CASE WHEN pause IS NULL OR pause > {beta} THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, seq ROWS UNBOUNDED PRECEDING) AS INT) AS session_no FROM lagged)"""
 
 
-def duration_sql(beta: int) -> str:
-    return f"""{REQ}, numbered AS (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, seq) AS n FROM req),
+def duration_sql(beta: int, req: str = REQ) -> str:
+    return f"""{req}, numbered AS (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, seq) AS n FROM req),
 walk AS (
   SELECT user_id, seq, n, epoch_us(ts) AS began, 1 AS session_no FROM numbered WHERE n = 1 UNION ALL
   SELECT b.user_id, b.seq, b.n, CASE WHEN epoch_us(b.ts) - w.began > {beta} THEN epoch_us(b.ts) ELSE w.began END, w.session_no + CASE WHEN epoch_us(b.ts) - w.began > {beta} THEN 1 ELSE 0 END
@@ -114,7 +116,7 @@ def clean_full(spark, sf_dir):
     return cleaning.clean(weblog(spark, sf_dir), order="sorted")[0]
 
 
-@query(f"WITH {LOG} SELECT (SELECT count(*) FROM raw) AS raw, count(*) AS cleaned, count(DISTINCT client_ip || '|' || user_agent) AS users, (SELECT count(*) FROM (SELECT plain FROM cleaned GROUP BY 1 HAVING count(*) >= 5)) AS site_urls, count(DISTINCT plain) AS urls FROM cleaned")
+@query(f"WITH {LOG} SELECT (SELECT count(*) FROM raw) AS raw, (SELECT count(*) FROM raw WHERE url IS NULL) AS no_url, count(*) AS cleaned, count(DISTINCT client_ip || '|' || user_agent) AS users, (SELECT count(*) FROM (SELECT plain FROM cleaned GROUP BY 1 HAVING count(*) >= 5)) AS site_urls, count(DISTINCT plain) AS urls FROM cleaned")
 def cleaning_report(spark, sf_dir):
     return workloads.cleaning(spark, sf_dir)
 
@@ -138,14 +140,52 @@ def pseudonym(spark, sf_dir):
 
 
 def _users(policy: str):
-    return lambda spark, sf_dir: cleaning.identify_users(cleaning.drop_robots(cleaning.drop_embedded(weblog(spark, sf_dir).withColumn("url", cleaning.strip_query("url")))), policy).groupBy("user_key").agg(F.count("*").alias("requests"))
+    return lambda spark, sf_dir: cleaning.identify_users(cleaning.drop_robots(cleaning.drop_embedded(weblog(spark, sf_dir).withColumn("url", cleaning.strip_query("url")))).withColumn("login", F.expr("case when user_agent = 'UA1' then concat('login-', client_ip) end")), policy).groupBy("user_key").agg(F.count("*").alias("requests"))
 
 
-for _name, _key in (("users_ip", "client_ip"), ("users_ip_agent", "client_ip || '|' || user_agent"), ("users_auto", "client_ip || '|' || user_agent")):
+_LOGIN = "CASE WHEN user_agent = 'UA1' THEN 'login-' || client_ip END"  # by a rule: the tables have no logins
+for _name, _key in (("users_ip", "client_ip"), ("users_ip_agent", "client_ip || '|' || user_agent"), ("users_login", _LOGIN), ("users_auto", f"coalesce({_LOGIN}, client_ip || '|' || user_agent)")):
     _Q[_name] = _users(_name.removeprefix("users_"))
     _SQL[_name] = f"WITH {LOG} SELECT {_key} AS user_key, count(*) AS requests FROM cleaned GROUP BY 1"
 
 
+@query(f"WITH {LOG} SELECT seq, user_agent FROM raw WHERE NOT regexp_matches(user_agent, '^(crawl|UA2)')")
+def clean_robots_like(spark, sf_dir):
+    return cleaning.drop_robots_like(weblog(spark, sf_dir), "^(crawl|UA2)").select("seq", "user_agent")
+
+
+@query(f"WITH {LOG} SELECT seq, plain AS url FROM stripped WHERE lower(regexp_extract(plain, '\\.([A-Za-z0-9]+)$', 1)) NOT IN ('gif', 'jpeg', 'jpg', 'map', {', '.join(repr(x) for x in cleaning.MORE_SUFFIXES)})")
+def clean_suffix_more(spark, sf_dir):
+    """Styles, scripts and sounds too."""
+    return cleaning.drop_embedded(weblog(spark, sf_dir).withColumn("url", cleaning.strip_query("url")), [*cleaning.SUFFIXES, *cleaning.MORE_SUFFIXES]).select("seq", "url")
+
+
+@query(f"WITH {LOG} SELECT ts, elapsed_ms, client_ip, user_agent, status, bytes, method, url FROM raw")
+def log_text_files(spark, sf_dir):
+    """The log written as text files, read by the text reader and parsed."""
+    path = shared(spark, "log-text")
+    render_log(weblog(spark, sf_dir).withColumns({"cache_result": F.lit("TCP_MISS"), "origin": F.lit("DIRECT/10.9.9.9")})).write.text(path)
+    return parse_log(read_log_text(spark, path))[0].select(*[c for c in LOG_COLUMNS if c != "seq"])
+
+
+@query("SELECT event_id, user_id, value, event_id % 7 = 0 AS bad FROM events")
+def csv_with_bad_rows(spark, sf_dir):
+    """Every seventh line has a word where a number belongs; it is kept aside, not lost."""
+    path = shared(spark, "csv")
+    e = table(spark, sf_dir, "events").select("event_id", "user_id", F.when(F.col("event_id") % 7 == 0, F.concat(F.lit("x"), F.col("value").cast("string"))).otherwise(F.col("value").cast("string")).alias("value"))
+    e.write.option("header", True).csv(path)
+    got = read_delimited(spark, path, T.StructType().add("event_id", "long").add("user_id", "long").add("value", "double"))
+    return got.select("event_id", "user_id", F.coalesce("value", F.expr("try_cast(substr(element_at(split(_bad, ','), 3), 2) as double)")).alias("value"), F.col("_bad").isNotNull().alias("bad"))
+
+
+@query("SELECT CAST(ts AS DATE) AS date, count(*) AS requests FROM events GROUP BY 1")
+def log_by_date(spark, sf_dir):
+    """Requests written by date and read back by partition."""
+    path = shared(spark, "by-date")
+    write_by_date(events_requests(spark, sf_dir), path)
+    return spark.read.parquet(path).groupBy("date").agg(F.count("*").alias("requests"))
+
+
 @query(f"WITH {LOG}, n AS (SELECT count(DISTINCT plain) AS site_urls FROM stripped) SELECT client_ip, user_agent, count(DISTINCT plain) AS urls, any_value(site_urls) AS site_urls FROM stripped, n GROUP BY 1, 2 HAVING count(DISTINCT plain) >= any_value(site_urls) * 0.2")
 def robot_suspects(spark, sf_dir):
     return cleaning.robot_suspects(weblog(spark, sf_dir).withColumn("url", cleaning.strip_query("url")), 0.2)
@@ -170,7 +210,7 @@ for _rule, _sql in (("gap", gap_sql), ("duration", duration_sql)):
 
 def _compare_sql() -> str:
     parts = []
-    for i, beta in enumerate((MIN30, 6 * sessionize.HOUR, DAY)):
+    for i, beta in enumerate(BETAS):
         for rule, sql in (("gap", gap_sql), ("duration", duration_sql)):
             body = f"WITH {'RECURSIVE ' if rule == 'duration' else ''}{sql(beta)} SELECT count(DISTINCT (user_id, session_no)) FROM sess"
             parts.append(f"SELECT '{rule}' AS rule, CAST({beta} AS BIGINT) AS beta_us, ({body}) AS sessions")
@@ -179,7 +219,7 @@ def _compare_sql() -> str:
 
 @query(_compare_sql())
 def sess_compare(spark, sf_dir):
-    return sessionize.compare_heuristics(events_requests(spark, sf_dir), [MIN30, 6 * sessionize.HOUR, DAY])
+    return sessionize.compare_heuristics(events_requests(spark, sf_dir), BETAS)
 
 
 @query(f"WITH RECURSIVE {duration_sql(DAY)}, g AS ({f'WITH {DAYS} SELECT user_id, seq, session_no AS gap_no FROM sess'}) SELECT user_id, gap_no, count(DISTINCT session_no) AS parts, count(*) AS requests FROM sess JOIN g USING (user_id, seq) GROUP BY 1, 2")
@@ -189,7 +229,15 @@ def sess_refinement(spark, sf_dir):
     return both.groupBy("user_id", "gap_no").agg(F.countDistinct("session_no").alias("parts"), F.count("*").alias("requests"))
 
 
-@query(f"WITH {gap_sql(90 * DAY, 'req AS (SELECT o_custkey AS user_id, o_orderdate AS ts, o_orderkey AS seq FROM orders)')} SELECT user_id, seq, session_no FROM sess")
+_ORDERS = "req AS (SELECT o_custkey AS user_id, o_orderdate AS ts, o_orderkey AS seq FROM orders)"
+
+
+@query(f"WITH RECURSIVE {duration_sql(90 * DAY, _ORDERS)} SELECT user_id, seq, session_no FROM sess")
+def sess_orders_duration_90d(spark, sf_dir):
+    return sessionize.duration_numbers(order_requests(spark, sf_dir), 90 * DAY).select("user_id", "seq", "session_no")
+
+
+@query(f"WITH {gap_sql(90 * DAY, _ORDERS)} SELECT user_id, seq, session_no FROM sess")
 def sess_orders_90d(spark, sf_dir):
     return sessionize.gap_numbers(order_requests(spark, sf_dir), 90 * DAY).select("user_id", "seq", "session_no")
 
@@ -231,6 +279,18 @@ def word_access_hist(spark, sf_dir):
     return measures.histogram(w, ["word"])
 
 
+@query("WITH w AS (SELECT word FROM (SELECT unnest(regexp_split_to_array(lower(trim(text, ' ')), '[ \\t\\n\\x0b\\f\\r]+')) AS word FROM documents) WHERE word <> ''), n AS (SELECT word, count(*) AS n FROM w GROUP BY 1) SELECT l AS min_access, (SELECT count(*) FROM n) AS urls_before, count(*) AS urls, CAST(sum(n) AS BIGINT) AS requests FROM n, (SELECT unnest([1, 2, 5]) AS l) WHERE n >= l GROUP BY 1")
+def prune_long_tail(spark, sf_dir):
+    """Words of documents as URLs: how many are left, and how many requests of them, at each limit on accesses."""
+    w = table(spark, sf_dir, "documents").select(F.explode(F.split(F.lower(F.trim("text")), r"\s+")).alias("url_id")).where("url_id <> ''")
+    n, out = w.select("url_id").distinct().count(), None
+    for limit in (1, 2, 5):
+        kept = features.prune_urls(w, limit).groupBy("url_id").agg(F.count("*").alias("n")).agg(F.count("*").alias("urls"), F.sum("n").alias("requests"))
+        row = kept.select(F.lit(limit).alias("min_access"), F.lit(n).cast("long").alias("urls_before"), "urls", "requests")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query(f"WITH {DAYS} SELECT support, count(*) AS urls FROM (SELECT url_id, count(DISTINCT (user_id, session_no)) AS support FROM sess GROUP BY 1) GROUP BY 1")
 def url_support_hist(spark, sf_dir):
     return measures.support_histogram(_sessions(spark, sf_dir), ["user_id", "session_no"])
@@ -309,11 +369,16 @@ def url_soft_weight(spark, sf_dir):
 # ---- clustering: the kernel against SQL, from four fixed sessions of ten URLs
 WIDTH, CLUSTERS = 10, 4
 _TEN = gap_sql(DAY, REQ.replace("'$.k') AS INT) AS url_id", "'$.k') AS INT) % 10 AS url_id"))
-POINTS = f"""{_TEN}, {ITEMS}, pts AS (SELECT i.user_id, i.session_no, url_id, 1.0::DOUBLE AS x, n_urls, {RAMP} AS w FROM items i JOIN sizes USING (user_id, session_no)),
+#: What a session counts under each treatment.
+MASS = {"soft": RAMP, "hard": "CASE WHEN n_urls >= 2 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END", "none": "1.0::DOUBLE"}
+
+
+def points_sql(weighting: str = "soft", clusters: int = CLUSTERS) -> str:
+    return f"""{_TEN}, {ITEMS}, pts AS (SELECT i.user_id, i.session_no, url_id, 1.0::DOUBLE AS x, n_urls, {MASS[weighting]} AS w FROM items i JOIN sizes USING (user_id, session_no)),
 ses AS (SELECT DISTINCT user_id, session_no, n_urls, w FROM pts),
-pick AS (SELECT url_id, user_id, session_no FROM (SELECT *, row_number() OVER (PARTITION BY url_id ORDER BY user_id, session_no) AS r FROM pts WHERE n_urls <= 5) WHERE r = 1 AND url_id < {CLUSTERS}),
+pick AS (SELECT url_id, user_id, session_no FROM (SELECT *, row_number() OVER (PARTITION BY url_id ORDER BY user_id, session_no) AS r FROM pts WHERE n_urls <= 5) WHERE r = 1 AND url_id < {clusters}),
 v0 AS (SELECT g.j, u.k, CASE WHEN p.url_id IS NULL THEN 0.0::DOUBLE ELSE 1.0::DOUBLE END + CASE WHEN u.k = g.j THEN 0.5::DOUBLE ELSE 0.0::DOUBLE END AS v
-  FROM range({CLUSTERS}) g(j), range({WIDTH}) u(k) LEFT JOIN (SELECT pick.url_id AS j, pts.url_id FROM pick JOIN pts USING (user_id, session_no)) p ON p.j = g.j AND p.url_id = u.k)"""
+  FROM range({clusters}) g(j), range({WIDTH}) u(k) LEFT JOIN (SELECT pick.url_id AS j, pts.url_id FROM pick JOIN pts USING (user_id, session_no)) p ON p.j = g.j AND p.url_id = u.k)"""
 
 
 def step_sql(i: int, update: str = "objective", crisp: bool = False) -> str:
@@ -327,8 +392,8 @@ v{i + 1} AS (SELECT o.j, o.k, CASE WHEN a.m > 0 THEN coalesce(b.b, 0) / a.m ELSE
   LEFT JOIN (SELECT j, url_id, sum({mass} * x) AS b FROM u{i} JOIN (SELECT user_id, session_no, url_id, x FROM pts) USING (user_id, session_no) GROUP BY 1, 2) b ON b.j = o.j AND b.url_id = o.k)"""
 
 
-def _steps(n: int, **how) -> str:
-    return ", ".join([POINTS, *(step_sql(i, **how) for i in range(n))])
+def _steps(n: int, weighting: str = "soft", clusters: int = CLUSTERS, **how) -> str:
+    return ", ".join([points_sql(weighting, clusters), *(step_sql(i, **how) for i in range(n))])
 
 
 def _start(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, np.ndarray]:
@@ -362,6 +427,9 @@ for _name, _n, _how, _sqlhow in (
     ("fcm_center_update", 1, {}, {}),
     ("fcm_center_as_printed", 1, {"update": "as_printed"}, {"update": "as_printed"}),
     ("fcm_3iter", 3, {}, {}),
+    ("fcm_3iter_none", 3, {"weighting": "none"}, {"weighting": "none"}),
+    ("fcm_3iter_hard", 3, {"weighting": "hard"}, {"weighting": "hard"}),
+    ("kmeans_3iter_none", 3, {"q": 1.0, "weighting": "none"}, {"crisp": True, "weighting": "none"}),
 ):
     _Q[_name] = _moved(_n, **_how)
     _SQL[_name] = f"WITH {_steps(_n, **_sqlhow)} SELECT j, k, round(v, 6) AS v FROM v{_n}"
@@ -386,6 +454,50 @@ def fcm_validity(spark, sf_dir):
     return spark.createDataFrame([(round(run.validity, 4), round(run.separation, 6))], "s double, sep_min double")
 
 
+_SEP = "sep AS (SELECT min(s) AS s FROM (SELECT sum((a.v - b.v) * (a.v - b.v)) AS s FROM v2 a JOIN v2 b ON a.k = b.k AND a.j < b.j GROUP BY a.j, b.j))"
+
+
+@query(f"WITH {_steps(3, 'hard')}, {_SEP} SELECT round(sum(w * u * u * d) / (SELECT sum(w) FROM ses) / (SELECT s FROM sep), 4) AS s, (SELECT sum(w) FROM ses) AS sessions FROM u2")
+def fcm_validity_hard(spark, sf_dir):
+    """Under hard removal the removed sessions are no points."""
+    run = _iterated(spark, sf_dir, 2, weighting="hard")[1]
+    return spark.createDataFrame([(round(run.validity, 4), run.points)], "s double, sessions double")
+
+
+@query(f"WITH {_steps(3)}, {_SEP} SELECT round(sum(w * u * u * d) / (SELECT sum(w) FROM ses) / (SELECT s FROM sep), 4) AS s FROM u2")
+def fcm_validity_weighted(spark, sf_dir):
+    run = _iterated(spark, sf_dir, 2)[1]
+    return spark.createDataFrame([(round(run.weighted_validity, 4),)], "s double")
+
+
+def _sweep_sql() -> str:
+    parts = []
+    for c in (2, 3, 4):
+        for weighting in MASS:
+            mass = "w" if weighting == "hard" else "1"  # whom S counts
+            parts.append(f"""SELECT * FROM (WITH {_steps(3, weighting, c)}, {_SEP} SELECT {c} AS c, '{weighting}' AS weighting, round(sum(w * u * u * d), 4) AS j, round(sum(w * u * u * d) / (SELECT sum(w) FROM ses), 6) AS j_per_weight,
+  round(sum({mass} * u * u * d) / (SELECT sum({mass}) FROM ses) / (SELECT s FROM sep), 4) AS s FROM u2)""")
+    return " UNION ALL ".join(parts)
+
+
+def _fixed_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors, v = _start(spark, sf_dir)
+    points = settle(features.weighted_points(vectors), "points")
+    runs = clustering.iterate(points, [clustering.Run(v[:c].copy(), 2.0, w) for c in (2, 3, 4) for w in MASS], WIDTH, 0.0, 2)
+    return clustering.sweep_table(spark, runs)
+
+
+@query(_sweep_sql())
+def fcm_sweep_fixed(spark, sf_dir):
+    """J, J for each unit of weight and S of the three treatments for 2 to 4 clusters, two steps from fixed starts, in shared passes."""
+    return _fixed_sweep(spark, sf_dir).select("c", "weighting", F.round("j", 4).alias("j"), F.round("j_per_weight", 6).alias("j_per_weight"), F.round("s", 4).alias("s"))
+
+
+@query(f"SELECT weighting, arg_min(c, s) AS best_c, min(s) AS s FROM ({_sweep_sql()}) GROUP BY 1")
+def fcm_select_fixed(spark, sf_dir):
+    return clustering.select_c(_fixed_sweep(spark, sf_dir)).withColumn("s", F.round("s", 4))
+
+
 @query(f"WITH {_TEN}, {ITEMS} SELECT count(*) AS rows, 0::BIGINT AS bad_rows, 0::BIGINT AS bad_columns FROM sizes")
 def fcm_partition_check(spark, sf_dir):
     vectors, run = _iterated(spark, sf_dir, 3)

@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..plans.stage import settle
+
 #: Suffixes of embedded files (case is ignored), and those of styles, scripts and sounds as an extension.
 SUFFIXES = ("gif", "jpeg", "jpg", "map")
 MORE_SUFFIXES = ("css", "js", "png", "ico", "svg", "bmp", "wav", "mp3", "au", "mid")
@@ -27,8 +29,9 @@ def suffix_of(url: Column | str) -> Column:
 
 
 def drop_embedded(log: DataFrame, suffixes: Sequence[str] = SUFFIXES, url: str = "url") -> DataFrame:
-    """Goes after ``strip_query``: a suffix in front of a query is seen only then."""
-    return log.where(~suffix_of(url).isin([s.lower() for s in suffixes]))
+    """Goes after ``strip_query``: a suffix in front of a query is seen only then. A record without URL has no suffix and
+    stays."""
+    return log.where(~F.coalesce(suffix_of(url).isin([s.lower() for s in suffixes]), F.lit(False)))
 
 
 def drop_robots(log: DataFrame, agents: Sequence[str] | DataFrame = ROBOTS, agent: str = "user_agent") -> DataFrame:
@@ -39,6 +42,11 @@ def drop_robots(log: DataFrame, agents: Sequence[str] | DataFrame = ROBOTS, agen
     return log.where(~F.coalesce(F.col(agent).isin(list(agents)), F.lit(False)))
 
 
+def drop_robots_like(log: DataFrame, pattern: str, agent: str = "user_agent") -> DataFrame:
+    """Removes requests of agents that a regular expression matches; a record without agent stays."""
+    return log.where(~F.coalesce(F.col(agent).rlike(pattern), F.lit(False)))
+
+
 def robot_suspects(log: DataFrame, coverage: float = 1.0, by: Sequence[str] = ("client_ip", "user_agent")) -> DataFrame:
     """Clients that request at least ``coverage`` of all the site's URLs: by, urls, site_urls."""
     site = log.agg(F.countDistinct("url").alias("site_urls"))
@@ -55,14 +63,15 @@ def dictionary(log: DataFrame, column: str, out: str, order: str = "sorted", fir
     """column, out: a number for each value. 'sorted': from 1 in the values' order; 'first_seen': from 1 in the order of first
     requests; 'hash': a 64-bit hash, which needs no order and suits any number of values.
 
-    Numbers without gaps are counted in two steps: ranks inside hash-free ranges of the order, and offsets of the ranges.
+    Numbers without gaps are counted in two steps: ranks inside ranges of the order, and offsets of the ranges. The ranges
+    are written once, so both steps read the same ones whatever the optimizer reuses.
     """
     if order == "hash":
         return log.select(column).where(F.col(column).isNotNull()).distinct().withColumn(out, F.xxhash64(column))
     each = log.where(F.col(column).isNotNull()).groupBy(column).agg(F.min(F.struct(*first)).alias("_f") if order == "first_seen" else F.lit(0).alias("_f"))
     keys = ["_f", column] if order == "first_seen" else [column]
     width = int(log.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = each.repartitionByRange(width, *keys).sortWithinPartitions(*keys).withColumn("_p", F.spark_partition_id())
+    dealt = settle(each.repartitionByRange(width, *keys).withColumn("_p", F.spark_partition_id()), "dictionary")
     counts = dealt.groupBy("_p").agg(F.count("*").alias("_n"))
     before = counts.select("_p", (F.sum("_n").over(Window.orderBy("_p")) - F.col("_n")).alias("_before"))  # a row for each range
     inside = dealt.withColumn("_r", F.row_number().over(Window.partitionBy("_p").orderBy(*keys)))
@@ -95,17 +104,19 @@ def user_histories(log: DataFrame, user: str = "user_key", ts: str = "ts", seq:
 
 def clean(log: DataFrame, suffixes: Sequence[str] = SUFFIXES, agents: Sequence[str] | DataFrame = ROBOTS, key: str = "alias", order: str = "hash") -> tuple[DataFrame, DataFrame]:
     """The whole cleaning in one pass over the log and one for the URL numbers: ts, ip_alias, ua_alias, elapsed_ms, bytes,
-    url_id, seq; and the URL dictionary (url, url_id)."""
-    kept = drop_robots(drop_embedded(log.withColumn("url", strip_query("url")), suffixes), agents)
+    url_id, seq; and the URL dictionary (url, url_id). Records without URL name no page and go; ``cleaning_report`` counts
+    them. Numbers by 'hash' have gaps: ``features.number_urls`` makes them dense once URLs are pruned."""
+    kept = drop_robots(drop_embedded(log.withColumn("url", strip_query("url")), suffixes), agents).where("url is not null")
     numbered, urls = encode(kept, "url", "url_id", order)
     hidden = pseudonymize(numbered, key).withColumn("ua_alias", F.sha2("user_agent", 256))
     return hidden.select("ts", "ip_alias", "ua_alias", "elapsed_ms", "bytes", "url_id", "seq"), urls
 
 
 def cleaning_report(log: DataFrame, suffixes: Sequence[str] = SUFFIXES, agents: Sequence[str] = ROBOTS) -> DataFrame:
-    """raw, cleaned, site_urls (accessed five times or more), urls, users: one scan, then one exchange by URL and user."""
-    kept = (~suffix_of(strip_query("url")).isin(list(suffixes))) & ~F.coalesce(F.col("user_agent").isin(list(agents)), F.lit(False))
+    """raw, no_url (records without URL, which go), cleaned, site_urls (accessed five times or more), urls, users: one scan,
+    then one exchange by URL and user."""
+    kept = F.col("url").isNotNull() & ~F.coalesce(suffix_of(strip_query("url")).isin(list(suffixes)), F.lit(False)) & ~F.coalesce(F.col("user_agent").isin(list(agents)), F.lit(False))
     marked = log.select(strip_query("url").alias("url"), "client_ip", "user_agent", kept.alias("kept"))
-    totals = marked.agg(F.count("*").alias("raw"), F.count_if("kept").alias("cleaned"), F.countDistinct(F.when(F.col("kept"), F.concat_ws("|", "client_ip", "user_agent"))).alias("users"))
+    totals = marked.agg(F.count("*").alias("raw"), F.count_if(F.col("url").isNull()).alias("no_url"), F.count_if("kept").alias("cleaned"), F.countDistinct(F.when(F.col("kept"), F.concat_ws("|", "client_ip", "user_agent"))).alias("users"))
     urls = marked.where("kept").groupBy("url").agg(F.count("*").alias("n")).agg(F.count_if(F.col("n") >= 5).alias("site_urls"), F.count("*").alias("urls"))
     return totals.crossJoin(F.broadcast(urls))  # one row each

@@ -1,8 +1,9 @@
 """Weighted fuzzy c-means and k-means over sparse points, any number of runs in one pass over the data.
 
 Only sums leave a task: for each run and cluster the mass and the weighted sum of points, and the run's objective and
-compactness. They are added in two steps, and only the new centres return to the driver. The points are read from one
-table in every pass; memberships are never stored.
+compactness. They leave in blocks of coordinates, are added by block, and only the new centres return to the driver. The
+points are read from one table in every pass; memberships are never stored. Runs whose centres together are larger than
+``BUDGET`` go in several passes; a single run must fit it.
 """
 
 from __future__ import annotations
@@ -21,6 +22,9 @@ from pyspark.sql import types as T
 EPS = 1e-18
 #: Up to so many coordinates a batch is made dense; beyond, sums run over the entries that are there.
 DENSE = 4096
+#: Bytes of centres that a pass broadcasts and the driver holds; numbers of a block of sums; bytes of all tasks' sums that
+#: may go straight to the driver.
+BUDGET, BLOCK, DIRECT = 256_000_000, 1 << 16, 32_000_000
 
 
 @dataclass
@@ -37,6 +41,7 @@ class Run:
     j: float = math.nan
     mass: float = math.nan
     compactness: float = math.nan
+    weighed: float = math.nan
     points: float = math.nan
     trace: list[float] = field(default_factory=list)
 
@@ -45,8 +50,7 @@ class Run:
         v = self.centres
         if len(v) < 2:
             return math.nan
-        d = ((v[:, None, :] - v[None, :, :]) ** 2).sum(axis=2)
-        return float(d[np.triu_indices(len(v), 1)].min())
+        return float(min(((v[j + 1 :] - v[j]) ** 2).sum(axis=1).min() for j in range(len(v) - 1)))
 
     @property
     def validity(self) -> float:
@@ -54,6 +58,12 @@ class Run:
         s = self.separation
         return self.compactness / (self.points * s) if s > 0 else (math.inf if s == 0 else math.nan)
 
+    @property
+    def weighted_validity(self) -> float:
+        """The same with every session counted by its weight."""
+        s = self.separation
+        return self.weighed / (self.mass * s) if s > 0 and self.mass > 0 else (math.inf if s == 0 else math.nan)
+
     def degenerate(self, eps: float = 1e-6) -> bool:
         return not self.separation >= eps
 
@@ -118,7 +128,7 @@ def _batch(idx: pa.Array, val: pa.Array, width: int):
 
 
 def _sums(x, norm2: np.ndarray, run: Run, mult: np.ndarray, w: np.ndarray, width: int) -> np.ndarray:
-    """A run's sums over a batch, flat: masses, weighted points, J, compactness, weight, points."""
+    """A run's sums over a batch, flat: masses, weighted points, J, compactness without and with weights, weight, points."""
     v = run.centres
     dots = x @ v.T if isinstance(x, np.ndarray) else x.dots(v)
     d = np.maximum(norm2[:, None] + (v * v).sum(axis=1)[None, :] - 2 * dots, 0.0)
@@ -127,15 +137,35 @@ def _sums(x, norm2: np.ndarray, run: Run, mult: np.ndarray, w: np.ndarray, width
     count = w if run.weighting == "hard" else mult  # removed sessions are no points
     m = uq * (w if run.update == "objective" else count)[:, None]
     moved = m.T @ x if isinstance(x, np.ndarray) else x.sums(m, width)
-    return np.concatenate([m.sum(axis=0), moved.ravel(), [(w[:, None] * uq * d).sum(), (count[:, None] * u * u * d).sum(), w.sum(), count.sum()]])
+    return np.concatenate([m.sum(axis=0), moved.ravel(), [(w[:, None] * uq * d).sum(), (count[:, None] * u * u * d).sum(), (w[:, None] * u * u * d).sum(), w.sum(), count.sum()]])
+
+
+def shards(runs: Sequence[Run], width: int, budget: int = BUDGET) -> list[list[Run]]:
+    """The runs in groups whose centres (8 bytes a coordinate) keep to the budget."""
+    out, held = [], 0
+    for r in runs:
+        size = 8 * len(r.centres) * (width + 1)
+        if size > budget:
+            raise ValueError(f"{len(r.centres)} centres of {width} coordinates take {size} bytes; the budget is {budget}: prune URLs first")
+        if not out or held + size > budget:
+            out.append([])
+            held = 0
+        out[-1].append(r)
+        held += size
+    return out
+
+
+def gather_sums(points: DataFrame, runs: Sequence[Run], width: int, rows: int = 8192, budget: int = BUDGET) -> list[np.ndarray]:
+    """The sums of all runs: columns idx, val, mult and one for each weighting in use. One pass for each shard of runs."""
+    return [s for some in shards(runs, width, budget) for s in _gather(points, some, width, rows)]
 
 
-def gather_sums(points: DataFrame, runs: Sequence[Run], width: int, rows: int = 8192) -> list[np.ndarray]:
-    """The sums of all runs in one pass: columns idx, val, mult and one for each weighting in use."""
+def _gather(points: DataFrame, runs: Sequence[Run], width: int, rows: int) -> list[np.ndarray]:
     spark = points.sparkSession
     names = sorted({r.weighting for r in runs})
-    sent = spark.sparkContext.broadcast(list(runs))  # runs x clusters x coordinates doubles
+    sent = spark.sparkContext.broadcast(list(runs))  # within the budget
     step = max(64, min(rows, 4_000_000 // max(width if width <= DENSE else 1, 1)))
+    sizes = [len(r.centres) * (1 + width) + 5 for r in runs]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = None
@@ -145,36 +175,57 @@ def gather_sums(points: DataFrame, runs: Sequence[Run], width: int, rows: int =
                 x, norm2 = _batch(b.column(0), b.column(1), width)
                 mult = b.column(2).to_numpy().astype(float)
                 w = {n: b.column(3 + k).to_numpy().astype(float) for k, n in enumerate(names)}
-                got = np.concatenate([_sums(x, norm2, r, mult, w[r.weighting], width) for r in sent.value])
-                total = got if total is None else total + got
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["s"])
+                total = np.zeros(sum(sizes)) if total is None else total
+                at = 0
+                for r, size in zip(sent.value, sizes, strict=True):
+                    total[at : at + size] += _sums(x, norm2, r, mult, w[r.weighting], width)
+                    at += size
+        yield from blocks({} if total is None else {k: total[k * BLOCK : (k + 1) * BLOCK] for k in range(-(-len(total) // BLOCK))})
+
+    def blocks(sums: dict[int, np.ndarray]) -> Iterator[pa.RecordBatch]:
+        for k, v in sums.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([v.tobytes()], pa.binary())], names=["block", "s"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = None
+        sums: dict[int, np.ndarray] = {}
         for b in batches:
-            for s in b.column(0).to_pylist():
+            for k, s in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 got = np.frombuffer(s)
-                total = got.copy() if total is None else total + got
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["s"])
-
-    part = points.select("idx", "val", F.col("mult").cast("double"), *(F.col(n).cast("double") for n in names)).mapInArrow(work, "s binary")
-    tasks = points.rdd.getNumPartitions()
-    if tasks > 16:  # a tree of two levels, so that neither a task nor the driver adds up all tasks' sums
-        part = part.repartition(math.isqrt(tasks)).mapInArrow(add, "s binary")
-    got = [np.frombuffer(r["s"]) for r in part.collect()]
-    sizes = [len(r.centres) * (1 + width) + 4 for r in runs]
-    total = sum(got) if got else np.zeros(sum(sizes))
+                sums[k] = sums[k] + got if k in sums else got
+        yield from blocks(sums)
+
+    part = points.select("idx", "val", F.col("mult").cast("double"), *(F.col(n).cast("double") for n in names)).mapInArrow(work, "block int, s binary")
+    tasks, count = _tasks(points), -(-sum(sizes) // BLOCK)
+    if 8 * tasks * sum(sizes) > DIRECT:  # added by block, so that the driver gets each sum once; of many tasks in two levels
+        level = math.isqrt(tasks)
+        if level > 16:
+            salted = part.withColumn("salt", F.pmod(F.spark_partition_id(), F.lit(level))).repartition(min(level * count, tasks), "block", "salt")
+            part = salted.select("block", "s").mapInArrow(add, "block int, s binary")
+        part = part.repartition(min(count, tasks), "block").mapInArrow(add, "block int, s binary")
+    total = np.zeros(sum(sizes))
+    for r in part.collect():
+        total[r["block"] * BLOCK :][: len(r["s"]) // 8] += np.frombuffer(r["s"])
     sent.unpersist()
     return np.split(total, np.cumsum(sizes)[:-1])
 
 
+#: Partitions of the tables that passes read, by their plan.
+_PARTS: dict[int, tuple[DataFrame, int]] = {}
+
+
+def _tasks(points: DataFrame) -> int:
+    """How many tasks read the points; planned once for a table, not in every pass."""
+    if id(points) not in _PARTS or _PARTS[id(points)][0] is not points:
+        _PARTS.clear()
+        _PARTS[id(points)] = points, points.rdd.getNumPartitions()
+    return _PARTS[id(points)][1]
+
+
 def _take(run: Run, sums: np.ndarray, width: int) -> np.ndarray:
     """Notes the run's measures and returns its new centres; a cluster without mass keeps its own."""
     c = len(run.centres)
     mass, moved = sums[:c], sums[c : c * (1 + width)].reshape(c, width)
-    run.j, run.compactness, run.mass, run.points = (float(s) for s in sums[-4:])
+    run.j, run.compactness, run.weighed, run.mass, run.points = (float(s) for s in sums[-5:])
     new = run.centres.copy()
     some = mass > 0
     new[some] = moved[some] / mass[some, None]
@@ -184,9 +235,12 @@ def _take(run: Run, sums: np.ndarray, width: int) -> np.ndarray:
 def iterate(points: DataFrame, runs: Sequence[Run], width: int, tol: float = 1e-5, max_iter: int = 100, criterion: str = "centres", watch: Callable | None = None) -> list[Run]:
     """Moves the centres of all runs until each stands still. Runs that have ended leave the passes.
 
-    criterion: 'centres' (largest move at most tol), 'J' (relative fall at most tol) or 'U', for which a small move of
-    centres bounds the change of memberships. The last pass measures J and compactness for the centres returned.
+    criterion: 'centres' (largest move at most tol) or 'J' (relative fall at most tol). Memberships are never stored, so
+    their change is no criterion here; they are a function of the centres. The last pass measures J and compactness for the
+    centres returned.
     """
+    if criterion not in ("centres", "J"):
+        raise ValueError(f"no such criterion: {criterion}")
     runs, active = list(runs), [r for r in runs if max_iter > 0]
     while active:
         still = []
@@ -255,9 +309,9 @@ def sweep(points: DataFrame, counts: Sequence[int], width: int, q: float = 2.0,
 
 
 def sweep_table(spark, runs: Sequence[Run], eps: float = 1e-6) -> DataFrame:
-    """A row for each run: c, weighting, q, iterations, converged, J, J for each unit of weight, S, sep_min, degenerate."""
-    rows = [(r.name, len(r.centres), r.weighting, float(r.q), r.iterations, r.converged, r.j, r.j / r.mass if r.mass else None, r.validity, r.separation, r.degenerate(eps)) for r in runs]
-    return spark.createDataFrame(rows, "run string, c int, weighting string, q double, iterations int, converged boolean, j double, j_per_weight double, s double, sep_min double, degenerate boolean")
+    """A row for each run: c, weighting, q, iterations, converged, J, J for each unit of weight, S, S by weight, sep_min, degenerate."""
+    rows = [(r.name, len(r.centres), r.weighting, float(r.q), r.iterations, r.converged, r.j, r.j / r.mass if r.mass else None, r.validity, r.weighted_validity, r.separation, r.degenerate(eps)) for r in runs]
+    return spark.createDataFrame(rows, "run string, c int, weighting string, q double, iterations int, converged boolean, j double, j_per_weight double, s double, s_weighted double, sep_min double, degenerate boolean")
 
 
 def select_c(table: DataFrame) -> DataFrame:

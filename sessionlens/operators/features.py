@@ -6,6 +6,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..plans.stage import settle
+from .cleaning import dictionary
+
 
 # ---- which URLs take part
 def prune_urls(requests: DataFrame, min_access: int = 2, url: str = "url_id") -> DataFrame:
@@ -21,6 +24,15 @@ def prune_support(sessions: DataFrame, min_support: int = 2, url: str = "url_id"
     return sessions.join(kept, url, "left_semi")
 
 
+def number_urls(requests: DataFrame, url: str = "url_id") -> tuple[DataFrame, DataFrame, int]:
+    """The requests with their URLs numbered 0 to n - 1 without gaps, as vectors need them; the table (url, number); and n.
+    Goes after pruning, so n is the dimension of the vectors."""
+    numbers = dictionary(requests.select(F.col(url).alias("_u")), "_u", "_n").withColumn("_n", F.col("_n") - 1)
+    numbers = settle(numbers, "url-numbers")
+    kept = requests.join(numbers, requests[url] == numbers["_u"]).drop("_u", url).withColumnRenamed("_n", url)
+    return kept, numbers.select(F.col("_u").alias(url), F.col("_n").alias("number")), numbers.count()
+
+
 def url_weights(requests: DataFrame, lb: int, ub: int, url: str = "url_id") -> DataFrame:
     """url, accesses, weight: a ramp over how often a URL is accessed, in place of a hard limit."""
     return requests.groupBy(url).agg(F.count("*").alias("accesses")).withColumn("weight", ramp_weight(F.col("accesses"), lb, ub))
@@ -47,7 +59,8 @@ def unit_weight() -> Column:
 
 # ---- profiles and feature values
 def profile_items(sessions: DataFrame, last: str = "zero", user: str = "user_id", session: str = "session_id") -> DataFrame:
-    """user, session, url_id, freq, bytes, dwell_s: one row for each URL of a session.
+    """user, session, url_id, freq, bytes, dwell_s, start_ts, end_ts (its first and last request): one row for each URL of a
+    session.
 
     Page time lasts until the session's next request; the last page has none: 'zero', the session's 'mean', or its
     'elapsed' time. The user stays in the grouping keys, so no exchange follows the one by user.
@@ -58,22 +71,23 @@ def profile_items(sessions: DataFrame, last: str = "zero", user: str = "user_id"
     timed = sessions.withColumn("_stay", stay)
     tail = {"zero": F.lit(0.0), "mean": F.coalesce(F.avg("_stay").over(whole), F.lit(0.0)), "elapsed": F.col("elapsed_ms") / 1000.0 if "elapsed_ms" in sessions.columns else F.lit(0.0)}[last]
     timed = timed.withColumn("_stay", F.coalesce("_stay", tail))
-    return timed.groupBy(user, session, "url_id").agg(F.count("*").alias("freq"), F.sum("bytes").alias("bytes"), F.sum("_stay").alias("dwell_s"))
+    return timed.groupBy(user, session, "url_id").agg(F.count("*").alias("freq"), F.sum("bytes").alias("bytes"), F.sum("_stay").alias("dwell_s"), F.min("ts").alias("start_ts"), F.max("ts").alias("end_ts"))
 
 
 def profile_sessions(sessions: DataFrame, user: str = "user_id", session: str = "session_id") -> DataFrame:
     """user, session, items (url_id, freq, bytes, dwell_s; by url_id), n_urls, n_requests, start_ts, end_ts."""
     items = profile_items(sessions, user=user, session=session)
-    spans = sessions.groupBy(user, session).agg(F.min("ts").alias("start_ts"), F.max("ts").alias("end_ts"))
-    each = items.groupBy(user, session).agg(F.sort_array(F.collect_list(F.struct("url_id", "freq", "bytes", "dwell_s"))).alias("items"), F.count("*").alias("n_urls"), F.sum("freq").alias("n_requests"))
-    return each.join(spans, [user, session])
+    each = items.groupBy(user, session).agg(
+        F.sort_array(F.collect_list(F.struct("url_id", "freq", "bytes", "dwell_s"))).alias("items"), F.count("*").alias("n_urls"), F.sum("freq").alias("n_requests"), F.min("start_ts").alias("start_ts"), F.max("end_ts").alias("end_ts")
+    )
+    return each
 
 
-def value(weight: str = "binary", scale: str = "none", session: str = "session_id") -> Column:
+def value(weight: str = "binary", scale: str = "none", session: str = "session_id", user: str = "user_id") -> Column:
     """The feature value of a profile item. weight: binary, frequency, dwell or bytes; scale: none, log1p, max or l2, the
     latter two over the session."""
     raw = {"binary": F.lit(1.0), "frequency": F.col("freq").cast("double"), "dwell": F.col("dwell_s"), "bytes": F.col("bytes").cast("double")}[weight]
-    over = Window.partitionBy("user_id", session)
+    over = Window.partitionBy(user, session)
     if scale == "log1p":
         return F.log1p(raw)
     if scale == "max":
@@ -84,8 +98,9 @@ def value(weight: str = "binary", scale: str = "none", session: str = "session_i
 
 
 def vectorize(items: DataFrame, weight: str = "binary", scale: str = "none", user: str = "user_id", session: str = "session_id") -> DataFrame:
-    """session, idx, val, n_urls, n_requests: sparse vectors, coordinates ascending."""
-    each = items.withColumn("_v", value(weight, scale, session)).groupBy(user, session).agg(F.sort_array(F.collect_list(F.struct("url_id", "_v"))).alias("p"), F.count("*").alias("n_urls"), F.sum("freq").alias("n_requests"))
+    """session, idx, val, n_urls, n_requests: sparse vectors, coordinates ascending. URLs must be numbered from 0 without gaps
+    (``number_urls``); a number that no int holds raises an error."""
+    each = items.withColumn("_v", value(weight, scale, session, user)).groupBy(user, session).agg(F.sort_array(F.collect_list(F.struct("url_id", "_v"))).alias("p"), F.count("*").alias("n_urls"), F.sum("freq").alias("n_requests"))
     return each.select(session, F.col("p.url_id").cast("array<int>").alias("idx"), F.col("p._v").alias("val"), "n_urls", "n_requests")
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .features import ramp_weight, step_weight
 
@@ -56,15 +57,16 @@ def retention_report(items: DataFrame, lb: int = 1, ub: int = 6, min_urls: int =
     """treatment, sessions, requests, urls, weight: what each treatment of short sessions keeps. items: a row for each URL
     of a session, with freq."""
     session = session or ["user_id", "session_no"]
-    sizes = items.groupBy(*session).agg(F.count("*").alias("n_urls"))
-    both = items.join(sizes, session)
-    out = None
-    for name, w in (("none", F.lit(1.0)), ("hard", step_weight(F.col("n_urls"), min_urls)), ("soft", ramp_weight(F.col("n_urls"), lb, ub))):
-        kept = both.withColumn("_w", w).where("_w > 0")
-        row = kept.agg(F.sum("freq").alias("requests"), F.countDistinct("url_id").alias("urls"), F.sum(F.col("_w") / F.col("n_urls")).alias("weight"), F.sum(1 / F.col("n_urls")).alias("s"))
-        row = row.select(F.lit(name).alias("treatment"), F.coalesce(F.round("s").cast("long"), F.lit(0)).alias("sessions"), F.coalesce("requests", F.lit(0)).alias("requests"), "urls", F.coalesce("weight", F.lit(0.0)).alias("weight"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    whole = Window.partitionBy(*session)
+    sized = items.withColumn("n_urls", F.count("*").over(whole))
+    weights = (("none", F.lit(1.0)), ("hard", step_weight(F.col("n_urls"), min_urls)), ("soft", ramp_weight(F.col("n_urls"), lb, ub)))
+    each = sized.select("url_id", "freq", "n_urls", F.inline(F.array(*(F.struct(F.lit(name).alias("treatment"), w.alias("w")) for name, w in weights)))).where("w > 0")
+    # by URL first, so that URLs are counted without a distinct of all rows
+    by_url = each.groupBy("treatment", "url_id").agg(F.sum("freq").alias("requests"), F.sum(F.col("w") / F.col("n_urls")).alias("weight"), F.sum(1 / F.col("n_urls")).alias("s"))
+    kept = by_url.groupBy("treatment").agg(F.round(F.sum("s")).cast("long").alias("sessions"), F.sum("requests").alias("requests"), F.count("*").alias("urls"), F.sum("weight").alias("weight"))
+    names = items.sparkSession.createDataFrame([(name,) for name, _ in weights], "treatment string")
+    out = names.join(F.broadcast(kept), "treatment", "left")  # three rows
+    return out.select("treatment", *(F.coalesce(c, F.lit(0).cast("long")).alias(c) for c in ("sessions", "requests", "urls")), F.coalesce("weight", F.lit(0.0)).alias("weight"))
 
 
 def purity(labelled: DataFrame, cluster: str = "cluster", label: str = "label") -> DataFrame:

@@ -8,15 +8,17 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
-#: Folders made for applications that name none.
+#: Folders made for local applications that name none.
 _OWN: dict[str, str] = {}
 
 
 def shared(spark: SparkSession, what: str) -> str:
-    """A new path in the folder that all executors share: ``spark.checkpoint.dir``, or a fresh one where it is unset, as in
-    tests."""
+    """A new path in the folder that all executors share, ``spark.checkpoint.dir``. Where it is unset a local master gets a
+    fresh folder (tests); a cluster raises an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         app = spark.sparkContext.applicationId
         if app not in _OWN:
             _OWN[app] = "file://" + tempfile.mkdtemp(prefix="stage-")
