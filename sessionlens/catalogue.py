@@ -518,8 +518,30 @@ def fcm_assign(spark, sf_dir):
     return clustering.assign(u).select("session_id.user_id", "session_id.session_no", F.col("cluster").cast("long").alias("cluster"))
 
 
+# ---- the whole chain
+_SHARE = "0.95::DOUBLE"
+CHAIN = f"""{LOG}, who AS (SELECT sha256(concat('alias', chr(0), client_ip)) || '|' || sha256(user_agent) AS user_id, ts, seq, plain AS url_id FROM cleaned),
+often AS (SELECT url_id FROM who GROUP BY 1 HAVING count(*) >= {_SHARE} * (SELECT count(*)::DOUBLE / count(DISTINCT url_id) FROM who)),
+{gap_sql(DAY, 'req AS (SELECT * FROM who WHERE url_id IN (SELECT url_id FROM often))')},
+support AS (SELECT url_id, count(DISTINCT (user_id, session_no)) AS n FROM sess GROUP BY 1),
+supported AS (SELECT * FROM sess WHERE url_id IN (SELECT url_id FROM support WHERE n >= {_SHARE} * (SELECT avg(n) FROM support)))"""
+
+
+@query(
+    f"WITH {CHAIN} SELECT 'raw' AS step, count(*) AS requests, count(DISTINCT url) AS urls, count(DISTINCT client_ip || '|' || user_agent) AS users, NULL::BIGINT AS sessions FROM raw UNION ALL "
+    + " UNION ALL ".join(f"SELECT '{step}', count(*), count(DISTINCT url_id), count(DISTINCT user_id), {sessions} FROM {name}" for step, name, sessions in (("cleaned", "who", "NULL"), ("accessed", "req", "NULL"), ("sessions", "sess", "count(DISTINCT (user_id, session_no))"), ("supported", "supported", "count(DISTINCT (user_id, session_no))")))
+)
+def chain_report(spark, sf_dir):
+    return workloads.chain_report(spark, sf_dir)
+
+
+@query(f"WITH {CHAIN}, items AS (SELECT user_id, session_no, url_id, count(*) AS freq FROM supported GROUP BY ALL), sizes AS (SELECT user_id, session_no, count(*) AS n_urls FROM items GROUP BY ALL) SELECT user_id AS user_key, session_no, url_id AS url, freq, n_urls, {RAMP} AS w FROM items JOIN sizes USING (user_id, session_no)")
+def chain_vectors(spark, sf_dir):
+    return workloads.chain_vectors(spark, sf_dir)
+
+
 # ---- experiments without SQL
-for _f in (workloads.cluster_summary, workloads.count_sweep, workloads.full_sweep, workloads.run_stats, workloads.hard_and_soft, workloads.crisp_and_fuzzy, workloads.language_purity, workloads.basket_clusters, workloads.dense_points):
+for _f in (workloads.cluster_summary, workloads.chain_sweep, workloads.chain_best_c, workloads.document_sweep, workloads.count_sweep, workloads.full_sweep, workloads.run_stats, workloads.hard_and_soft, workloads.crisp_and_fuzzy, workloads.language_purity, workloads.basket_clusters, workloads.dense_points):
     _Q[_f.__name__] = _f
 
 

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import time
+from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..operators import cleaning as cleaning_ops
 from ..operators import clustering, features, measures, sessionize
 from ..operators.cleaning import cleaning_report
 from ..sources.logs import events_requests, table, weblog
@@ -55,13 +57,99 @@ def cleaning(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cleaning_report(weblog(spark, sf_dir))
 
 
-def cluster_summary(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2, urls: int = 10) -> DataFrame:
-    """cluster, sessions, weight, top URL: gap sessions of a day, graded weights, weighted fuzzy c-means."""
-    vectors = settle(event_vectors(spark, sf_dir, urls), "vectors")
-    run = clustering.fcm(settle(features.weighted_points(vectors), "points"), c, urls, q)
+# ---- the whole chain, from the raw log to points
+@dataclass
+class Chain:
+    """What each step left: the raw log, the cleaned one with users, the requests of URLs accessed often enough, their sessions,
+    the sessions' requests of URLs of enough support (numbered 0 to n - 1), the URL names of the numbers, and n."""
+
+    raw: DataFrame
+    cleaned: DataFrame
+    accessed: DataFrame
+    sessions: DataFrame
+    supported: DataFrame
+    names: DataFrame
+    n: int
+
+    def items(self) -> DataFrame:
+        return features.profile_items(self.supported, user="user_key", session="session_id")
+
+    def vectors(self, weight: str = "binary") -> DataFrame:
+        """Sizes are those after pruning."""
+        return features.vectorize(self.items(), weight, user="user_key")
+
+
+def chain(spark: SparkSession, sf_dir: str, beta_us: int = DAY, rule: str = "gap", share: float = 0.95) -> Chain:
+    """Log, cleaning, users, pruning by accesses, sessions, pruning by support, dense numbers. A URL stays if it has ``share``
+    of the mean accesses, then of the mean support: the given logs have no URL of one access, so fixed limits would do nothing."""
+    raw = weblog(spark, sf_dir)
+    cleaned, urls = cleaning_ops.clean(raw)
+    cleaned = settle(cleaning_ops.identify_users(cleaned, "ip_agent", "ip_alias", "ua_alias"), "cleaned")
+    mean = cleaned.agg((F.count("*") / F.countDistinct("url_id")).alias("m")).first()["m"] or 0.0
+    accessed = features.prune_urls(cleaned, share * mean)
+    sessions = settle(sessionize.sessionize(accessed, rule, beta_us, user="user_key"), "sessions")
+    support = sessions.groupBy("url_id").agg(F.countDistinct("session_id").alias("n")).agg(F.avg("n").alias("m")).first()["m"] or 0.0
+    supported, numbers, n = features.number_urls(features.prune_support(sessions, share * support))
+    names = numbers.join(urls, "url_id").select("url", "number")
+    return Chain(raw, cleaned, accessed, sessions, settle(supported, "supported"), names, n)
+
+
+def chain_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """step, requests, urls, users, sessions: what is left after each step."""
+    c, out = chain(spark, sf_dir), None
+    raw = c.raw.select(F.col("url").alias("url_id"), F.concat_ws("|", "client_ip", "user_agent").alias("user_key"))
+    for step, df in (("raw", raw), ("cleaned", c.cleaned), ("accessed", c.accessed), ("sessions", c.sessions), ("supported", c.supported)):
+        sessions = F.countDistinct("session_id") if "session_id" in df.columns else F.lit(None).cast("long")
+        row = df.agg(F.count("*").alias("requests"), F.countDistinct("url_id").alias("urls"), F.countDistinct("user_key").alias("users"), sessions.alias("sessions"))
+        row = row.select(F.lit(step).alias("step"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def chain_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """user_key, session_no, url, freq, n_urls, w: the vectors that clustering reads, with URL names, and the graded weights."""
+    c = chain(spark, sf_dir)
+    items = features.profile_items(c.supported, user="user_key", session="session_no")
+    sizes = items.groupBy("user_key", "session_no").agg(F.count("*").alias("n_urls"))
+    named = items.join(c.names, items["url_id"] == c.names["number"]).select("user_key", "session_no", "url", "freq")
+    return named.join(sizes, ["user_key", "session_no"]).withColumn("w", features.ramp_weight(F.col("n_urls")))
+
+
+def chain_points(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
+    c = chain(spark, sf_dir)
+    return settle(features.weighted_points(c.vectors()), "points"), max(c.n, 1)
+
+
+def cluster_summary(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.03) -> DataFrame:
+    """cluster, sessions, weight, top_url, top_value: the chain's sessions, graded weights, weighted fuzzy c-means."""
+    made = chain(spark, sf_dir)
+    vectors = settle(made.vectors(), "vectors")
+    points = settle(features.weighted_points(vectors), "points")
+    different = points.limit(c).count()
+    run = clustering.fcm(points, max(min(c, different), 1), max(made.n, 1), q)
     labelled = clustering.memberships(vectors, run.centres, q)
-    heads = clustering.describe_clusters(run.centres, spark, top=1).select("cluster", F.col("url_id").alias("top_url"), F.round("value", 6).alias("top_value"))
-    return labelled.groupBy("cluster").agg(F.count("*").alias("sessions"), F.sum(features.ramp_weight(F.col("n_urls"))).alias("weight")).join(F.broadcast(heads), "cluster")
+    heads = clustering.describe_clusters(run.centres, spark, top=1).join(F.broadcast(made.names), F.col("url_id") == F.col("number"), "left")
+    heads = heads.select("cluster", F.col("url").alias("top_url"), F.round("value", 6).alias("top_value"))
+    sizes = labelled.groupBy("cluster").agg(F.count("*").alias("sessions"), F.sum(features.ramp_weight(F.col("n_urls"))).alias("weight"))
+    return sizes.join(F.broadcast(heads), "cluster")  # a row for each cluster
+
+
+def chain_sweep(spark: SparkSession, sf_dir: str, counts=range(4, 61), q: float = 1.03, restarts: int = 1, max_iter: int = 40) -> DataFrame:
+    """J and S for every count from 4 to 60, graded weights and none, on the chain's real URLs; runs that have not converged
+    say so."""
+    points, width = chain_points(spark, sf_dir)
+    most = points.select("idx", "val").distinct().limit(max(counts)).count()
+    return clustering.sweep_table(spark, clustering.sweep(points, [c for c in counts if c <= most], width, q, restarts=restarts, max_iter=max_iter))
+
+
+def chain_best_c(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The count of least validity index among 4 to 60 for each weighting."""
+    return clustering.select_c(chain_sweep(spark, sf_dir))
+
+
+def document_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same counts with documents as sessions and their commonest words as URLs."""
+    return count_sweep(spark, sf_dir, range(4, 61), max_iter=40, source="documents")
 
 
 def count_sweep(spark: SparkSession, sf_dir: str, counts=range(4, 9), q: float = 1.2, urls: int = 10, restarts: int = 1, max_iter: int = 30, source: str = "events") -> DataFrame:
@@ -76,8 +164,9 @@ def count_sweep(spark: SparkSession, sf_dir: str, counts=range(4, 9), q: float =
 
 
 def full_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every count from 4 to 60, with graded weights and without: 114 runs that share each pass over the points."""
-    return count_sweep(spark, sf_dir, range(4, 61), max_iter=15)
+    """Every count from 4 to 60 on the events table, URLs folded to ten coordinates, where centres stay apart for an exponent of
+    1.2: 114 runs that share each pass."""
+    return count_sweep(spark, sf_dir, range(4, 61), max_iter=30)
 
 
 def run_stats(spark: SparkSession, sf_dir: str, counts=(4, 6, 8)) -> DataFrame:
@@ -91,12 +180,22 @@ def run_stats(spark: SparkSession, sf_dir: str, counts=(4, 6, 8)) -> DataFrame:
     return spark.createDataFrame(rows, "c int, iterations int, seconds double, seconds_per_pass double")
 
 
-def hard_and_soft(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2, urls: int = 10) -> DataFrame:
-    """The three treatments of short sessions from the same start."""
-    points = event_points(spark, sf_dir, urls)
-    v = clustering.starts(points, c, urls, "farthest")
-    runs = [clustering.Run(v.copy(), q, w, name=w) for w in ("soft", "hard", "none")]
-    return clustering.sweep_table(spark, clustering.iterate(points, runs, urls))
+def hard_and_soft(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2, top: int = 40, min_urls: int = 40) -> DataFrame:
+    """The three treatments of small sessions from the same start, documents as sessions: the sweep's measures, purity against
+    the language, and what each treatment keeps (sessions, their share of weight, words that still occur)."""
+    vectors = settle(document_vectors(spark, sf_dir, top), "vectors")
+    points = settle(features.weighted_points(vectors, lb=10, ub=2 * min_urls, min_urls=min_urls), "points")
+    v = clustering.starts(points, c, top, "farthest")
+    runs = clustering.iterate(points, [clustering.Run(v.copy(), q, w, name=w) for w in ("soft", "hard", "none")], top)
+    size, out = F.col("n_urls"), None
+    for run in runs:
+        w = {"soft": features.ramp_weight(size, 10, 2 * min_urls), "hard": features.step_weight(size, min_urls), "none": features.unit_weight()}[run.weighting]
+        labelled = clustering.memberships(vectors, run.centres, q).withColumn("w", w)
+        pure = measures.purity(labelled.where("w > 0"), label="lang").select("rows", F.round("purity", 6).alias("purity"))
+        kept = labelled.where("w > 0").agg(F.sum("w").alias("weight"), F.size(F.array_distinct(F.flatten(F.collect_set("idx")))).alias("urls"))
+        row = pure.crossJoin(F.broadcast(kept)).select(F.lit(run.name).alias("run"), F.col("rows").alias("sessions"), "purity", "weight", "urls")  # one row each
+        out = row if out is None else out.unionByName(row)
+    return clustering.sweep_table(spark, runs).join(F.broadcast(out), "run")
 
 
 def crisp_and_fuzzy(spark: SparkSession, sf_dir: str, c: int = 4, urls: int = 10) -> DataFrame:
@@ -130,5 +229,6 @@ def dense_points(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2) -
     """The kernel on dense points: the embeddings table, every point of weight 1."""
     v = table(spark, sf_dir, "embeddings").where("embedding is not null")
     points = settle(v.select(F.sequence(F.lit(0), F.size("embedding") - 1).alias("idx"), F.col("embedding").cast("array<double>").alias("val"), F.lit(1.0).alias("mult"), F.lit(1.0).alias("none")), "points")
-    run = clustering.fcm(points, c, 64, q, "none", init="first", max_iter=5)
+    width = points.agg(F.max(F.size("idx"))).first()[0] or 1
+    run = clustering.fcm(points, c, width, q, "none", init="first", max_iter=20)
     return clustering.sweep_table(spark, [run])
