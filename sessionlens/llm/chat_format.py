@@ -1,8 +1,9 @@
 """Chat formatting: calls and results are hash-joined by identifier, ordered by their dependencies, arguments are
 validated against schemas, and every message is serialised as canonical JSON.
 
-Every step works on single messages, so a conversation of any length is spread over tasks; sorting by conversation, level
-and turn puts them in order.
+Every step works on single messages, so a conversation of any length is spread over tasks. Levels come from pointer doubling
+along calls that wait for one other, so that a chain of n calls takes about log2(n) rounds, and from rounds over calls that
+wait for several, in which only what was found last is joined. ``in_order`` writes conversations in topological order.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep
+from .common import discard, keep, running_total
 
 _TYPES = {"object": dict, "array": list, "string": str, "boolean": bool, "null": type(None)}
 
@@ -70,24 +71,56 @@ def problems(value, schema: dict, at: str = "$") -> list[str]:
 def levels(calls: DataFrame) -> DataFrame:
     """conv_id, call_id, level: 0 for calls that wait for none, else one more than the highest level they wait for; -1 on
     or behind a cycle. Identifiers that don't exist are waited for by none. calls: conv_id, call_id, after (ids)."""
-    ids = calls.select("conv_id", "call_id").distinct()
-    waits = calls.select("conv_id", "call_id", F.explode("after").alias("on")).distinct()
-    waits = keep(waits.join(ids.withColumnRenamed("call_id", "on"), ["conv_id", "on"]), "waits")
-    done = keep(ids.join(waits.select("conv_id", "call_id").distinct(), ["conv_id", "call_id"], "left_anti").withColumn("level", F.lit(0)), "levels")
-    level, left = 0, waits.select("conv_id", "call_id").distinct().count()
-    while left:
-        level += 1
-        got = done.select("conv_id", F.col("call_id").alias("on"), F.lit(1).alias("ready"))
-        ready = waits.join(got, ["conv_id", "on"], "left").groupBy("conv_id", "call_id").agg(F.min(F.coalesce("ready", F.lit(0))).alias("all")).where("all = 1").drop("all")
-        new = ready.join(done, ["conv_id", "call_id"], "left_anti").withColumn("level", F.lit(level))
-        done = keep(done.unionByName(new), "levels")
-        n = ids.count() - done.count()
-        if n == left:
+    me = ["conv_id", "call_id"]
+    ids = keep(calls.select(*me).distinct(), "calls")
+    waits = calls.select(*me, F.explode("after").alias("on")).distinct()
+    waits = keep(waits.join(ids.withColumnRenamed("call_id", "on"), ["conv_id", "on"]).select(*me, "on"), "waits")
+    needs = keep(waits.groupBy(*me).agg(F.count("*").alias("need"), F.min("on").alias("to")), "needs")
+    # a call that waits for one other points at it; pointers are doubled until they end at a call that waits for none or several
+    one = needs.where("need = 1").select(*me, "to", F.lit(1).cast("long").alias("far"))
+    moving, still = keep(one, "pointers"), None
+    rounds = max(moving.count(), 1).bit_length() + 1
+    for _ in range(rounds):  # longer than any chain: what still moves lies on or behind a cycle
+        ends = moving.select("conv_id", F.col("call_id").alias("to"), F.col("to").alias("_to"), F.col("far").alias("_far"))
+        if still is not None:
+            ends = ends.unionByName(still.select("conv_id", F.col("call_id").alias("to"), F.col("to").alias("_to"), F.col("far").alias("_far")))
+        both = keep(moving.join(ends, ["conv_id", "to"], "left"), "pointers")
+        done = both.where("_to is null").select(*me, "to", "far")
+        still = keep(done if still is None else still.unionByName(done), "pointers")
+        discard(moving)
+        moving = keep(both.where("_to is not null").select(*me, F.col("_to").alias("to"), (F.col("far") + F.col("_far")).alias("far")), "pointers")
+        discard(both)
+        if moving.isEmpty():
             break
-        left = n
-        if not left:
-            break
-    return ids.join(done, ["conv_id", "call_id"], "left").withColumn("level", F.coalesce("level", F.lit(-1)))
+    # rounds over the calls that wait for several, each as soon as the ends of all its pointers have their level
+    known = keep(ids.join(needs.select(*me), me, "left_anti").withColumn("level", F.lit(0).cast("long")), "levels")
+    several = waits.join(needs.where("need > 1").select(*me, "need"), me)
+    heads = still.select("conv_id", F.col("call_id").alias("on"), F.col("to").alias("head"), "far")
+    open_ = keep(several.join(heads, ["conv_id", "on"], "left").select(*me, "need", F.coalesce("head", "on").alias("head"), (F.coalesce("far", F.lit(0)) + 1).alias("far")), "waiting")
+    held = keep(open_.select(*me, "need").distinct().select(*me, "need", F.lit(0).cast("long").alias("got"), F.lit(0).cast("long").alias("level")), "held")
+    new = known
+    while not new.isEmpty() and not held.isEmpty():
+        met = open_.join(new.select("conv_id", F.col("call_id").alias("head"), F.col("level").alias("at")), ["conv_id", "head"])
+        sums = met.groupBy(*me).agg(F.count("*").alias("n"), F.max(F.col("at") + F.col("far")).alias("most"))
+        now = held.join(sums, me, "left").select(*me, "need", (F.col("got") + F.coalesce("n", F.lit(0))).alias("got"), F.greatest("level", F.coalesce("most", F.lit(0))).alias("level"))
+        now = keep(now, "held")
+        new = keep(now.where("got = need").select(*me, "level"), "levels")
+        known = known.unionByName(new)
+        discard(held)
+        held = keep(now.where("got < need"), "held")
+        discard(now)
+    ends = known.select("conv_id", F.col("call_id").alias("to"), "level")
+    along = still.join(ends, ["conv_id", "to"]).select(*me, (F.col("level") + F.col("far")).alias("level"))
+    return ids.join(known.unionByName(along), me, "left").withColumn("level", F.coalesce("level", F.lit(-1)).cast("int"))
+
+
+def in_order(linked: DataFrame) -> DataFrame:
+    """The rows of ``link`` with line: their place, from 0, when conversations follow one another (null last) and each has its
+    messages by level, then turn: a call comes after the calls it waits for, a result after its call. The rows lie sorted so in
+    files, however long a conversation is."""
+    given = linked.withColumn("_one", F.lit(1).cast("long")).withColumn("_kind", F.when(F.col("kind") == "result", 1).otherwise(0))
+    keys = [F.col("conv_id").asc_nulls_last(), "level", F.col("turn").asc_nulls_last(), "_kind", "json"]
+    return running_total(given, keys, "_one", "line", "chat").drop("_one", "_kind")
 
 
 def link(messages: DataFrame, schemas: dict[str, dict]) -> DataFrame:

@@ -4,6 +4,12 @@ A page is cut into flat blocks at block-level tags. Each block has its number of
 its two neighbours, and what its surroundings say: whether it stands in an element whose name, class, id or role is that
 of page furniture, in the article or main element, or in a heading. The tree is grown on the blocks of the small pages
 below, which carry their labels as an attribute; it is a few nodes deep and goes with the task.
+
+Readings of what belongs to an article. Marks are judged from the article's place inwards: an element that holds the whole
+article (a div named has-sidebar, a form around the page) is a wrapper and marks nothing, while the menus and forms beside or
+inside the article keep their marks. Comments in article elements of their own are no article, since they lie in marked
+elements that the article is outside of. A header or footer element inside the article is a header or footer and goes,
+headline included; headings that stand in the article itself stay. Formulas and the fallback text of maps and objects are text.
 """
 
 from __future__ import annotations
@@ -24,7 +30,7 @@ from .common import text_batches, with_field
 #: Elements that end a block, elements without content, elements whose content is no text.
 BLOCKS = frozenset("address article aside blockquote body button caption center dd details dialog div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol optgroup option p pre search section select summary table tbody td tfoot th thead title tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-SILENT = frozenset("applet audio button canvas datalist dialog embed form head iframe input map math noembed noframes noscript object option picture script select style svg template textarea title video".split())
+SILENT = frozenset("applet audio button canvas datalist dialog embed form head iframe input noembed noframes noscript option picture script select style svg template textarea title video".split())
 RAW = ("script", "style", "textarea", "title", "noscript", "iframe", "xmp", "noframes", "noembed", "template")
 #: Elements, roles and parts of class and id names that mark page furniture, and those that mark the article.
 FURNITURE = frozenset("nav header footer aside menu form".split())
@@ -32,6 +38,9 @@ ROLES = frozenset("navigation banner contentinfo complementary search menu menub
 NAMES = frozenset("ad ads advert adverts advertisement advertising adbox adsense banner sponsor sponsored promo promotion promoted nav navbar navigation menu menubar breadcrumb breadcrumbs header masthead topbar footer foot colophon copyright legal disclaimer sidebar sidebars aside rail widget widgets notice notices cookie cookies consent gdpr alert popup modal overlay banner comment comments commentlist discussion disqus replies reply respond feedback share sharing social related recommended recommendations teaser teasers newsletter subscribe subscription signup login form search pagination pager toc tags skip hidden tracking".split())
 MAINS = frozenset("article main".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+BODY_NAMES = frozenset("article content story post entry".split())
+#: A form with over this share of a page's words, where no article shows its place, is a wrapper.
+WHOLE = 0.5
 
 _DEAD = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<(" + "|".join(RAW) + r")\b[^>]*>.*?(?:</\1\s*>|\Z)", re.S | re.I)
 _TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?/][^>]*>|<[a-zA-Z/!?][^>]*\Z")
@@ -51,44 +60,74 @@ class Block:
     label: str | None = None
 
 
-@dataclass
+@dataclass(eq=False)
 class _Open:
+    """An element as it was opened. main: 2 for an article or main element, 1 for one that is named like it, else 0."""
+
     tag: str
     furniture: bool = False
-    main: bool = False
+    main: int = 0
     silent: bool = False
     label: str | None = None
 
 
 @dataclass
 class _Cutter:
-    blocks: list[Block] = field(default_factory=list)
+    found: list[tuple[str, int, tuple[_Open, ...]]] = field(default_factory=list)
     pieces: list[str] = field(default_factory=list)
     linked: int = 0
     stack: list[_Open] = field(default_factory=list)
+    mains: list[tuple[_Open, ...]] = field(default_factory=list)
 
     def end(self) -> None:
         text = " ".join(html.unescape("".join(self.pieces)).split())
         if text:
-            words, stack = len(text.split(" ")), self.stack
-            tag = next((o.tag for o in reversed(stack) if o.tag in BLOCKS), "body")
-            label = next((o.label for o in reversed(stack) if o.label), None)
-            self.blocks.append(Block(text, words, min(self.linked, words), tag, any(o.furniture for o in stack), any(o.main for o in stack), any(o.tag in HEADINGS for o in stack), label))
+            self.found.append((text, min(self.linked, len(text.split(" "))), tuple(self.stack)))
         self.pieces, self.linked = [], 0
 
+    def wrappers(self) -> set[_Open]:
+        """Marked elements around the article: of article and main elements (else of those named like them) the ones inside the
+        fewest marked elements show it. Without any, forms that hold most of the page."""
+        around = []
+        for kind in (2, 1):
+            around = around or [[o for o in path[:-1] if o.furniture or o.tag == "form"] for path in self.mains if path[-1].main == kind]
+        if around:
+            least = min(map(len, around))
+            return {o for path in around if len(path) == least for o in path}
+        words: dict[_Open, int] = {}
+        for text, _, path in self.found:
+            for o in path:
+                if o.tag == "form":
+                    words[o] = words.get(o, 0) + len(text.split(" "))
+        every = sum(len(text.split(" ")) for text, *_ in self.found)
+        return {o for o, n in words.items() if n > WHOLE * every}
+
+    def blocks(self) -> list[Block]:
+        free, out = self.wrappers(), []
+        for text, linked, path in self.found:
+            bound = [o for o in path if o not in free]
+            if any(o.silent for o in bound):
+                continue
+            tag = next((o.tag for o in reversed(path) if o.tag in BLOCKS), "body")
+            label = next((o.label for o in reversed(path) if o.label), None)
+            marked = any(o.furniture for o in bound)
+            out.append(Block(text, len(text.split(" ")), linked, tag, marked, any(o.main for o in path), any(o.tag in HEADINGS for o in path), label))
+        return out
+
 
 def _opened(tag: str, attributes: str, inside: bool) -> _Open:
-    out = _Open(tag, tag in FURNITURE, tag in MAINS, tag in SILENT)
+    out = _Open(tag, tag in FURNITURE, 2 * (tag in MAINS), tag in SILENT)
     for name, *values in _ATTR.findall(attributes):
         name, value = name.lower(), html.unescape("".join(values)).lower()
         if name in ("class", "id"):
             # a name that belongs to the whole page or the article itself says nothing against what it holds
             if tag not in ("html", "body", "article", "main"):
                 out.furniture |= any(p in NAMES for p in _PART.findall(value))
-            out.main |= any(p in ("article", "content", "story", "post", "entry") for p in _PART.findall(value)) and not inside and not out.furniture
+            if not inside and not out.furniture and any(p in BODY_NAMES for p in _PART.findall(value)):
+                out.main = max(out.main, 1)
         elif name == "role":
             out.furniture |= value in ROLES
-            out.main |= value in ("main", "article")
+            out.main = 2 if value in MAINS else out.main
         elif name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value)):
             out.silent = True
         elif name == "data-label":
@@ -103,7 +142,7 @@ def blocks_of(page: str | None) -> list[Block]:
     stack = cutter.stack
 
     def say(piece: str) -> None:
-        if piece and not any(o.silent for o in stack):
+        if piece and not any(o.silent and o.tag != "form" for o in stack):  # whether a form is a wrapper shows later
             cutter.pieces.append(piece)
             if any(o.tag == "a" for o in stack):
                 cutter.linked += len(piece.split())
@@ -131,9 +170,11 @@ def blocks_of(page: str | None) -> list[Block]:
                 stack.pop()
         if tag not in VOID and not m[3].rstrip().endswith("/"):
             stack.append(_opened(tag, m[3], any(o.main for o in stack)))
+            if stack[-1].main:
+                cutter.mains.append(tuple(stack))
     say(page[at:])
     cutter.end()
-    return cutter.blocks
+    return cutter.blocks()
 
 
 def table_of(blocks: list[Block]) -> np.ndarray:
@@ -214,6 +255,8 @@ def labelled_pages() -> list[str]:
         if long > 20:
             for kind in ("comments", "sidebar", "notice"):
                 out.append(f'<div data-label="keep">{paragraphs(long, long, 14, long)}</div><div class="{kind}" data-label="drop">{paragraphs(30, 150, 12, 70, 200)}</div>')
+            for n in (1, 2):  # lone links before and behind
+                out.append(f'<div data-label="drop"><a href="/">{words(n)}</a></div><div data-label="keep">{paragraphs(long, long)}</div><div data-label="drop"><a href="/">{words(n)}</a></div>')
             out.append(f'<div data-label="drop"><ul>{links(7)}</ul></div><div data-label="drop">{words(3)}</div><div data-label="keep">{paragraphs(long, long, 14, long)}</div><div data-label="drop">{words(4)}</div><div data-label="drop"><ul>{links(3, 2)}</ul></div>')
     return out
 

@@ -55,7 +55,8 @@ SCHEMAS = {"answer": {"type": "object", "required": ["question", "turn"], "addit
 
 def op7_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every turn of every conversation. A user turn is taken as a call whose identifier is its conversation and turn; the
-    assistant turn that follows is its result; a call waits for the conversation's first turn, if that is a call too."""
+    assistant turn that follows is its result; a call waits for the user turn before it, two turns back, if there is one. line:
+    the message's place when all conversations are written in order."""
     turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     own = F.concat_ws(":", F.col("conv_id").cast("string"), F.col("turn").cast("string"))
     kind = F.when(F.col("role") == "user", "call").when(F.col("role") == "assistant", "result").otherwise("text")
@@ -69,9 +70,9 @@ def op7_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.lit("answer").alias("name"),
         F.to_json(F.struct(F.col("text").alias("question"), F.col("turn").alias("turn"))).alias("arguments"),
         F.col("text").alias("content"),
-        F.when(F.col("turn") > 0, F.array(F.concat(F.col("conv_id").cast("string"), F.lit(":0")))).otherwise(F.array().cast("array<string>")).alias("after"),
+        F.when(F.col("turn") > 1, F.array(F.concat_ws(":", F.col("conv_id").cast("string"), (F.col("turn") - 2).cast("string")))).otherwise(F.array().cast("array<string>")).alias("after"),
     )
-    return chat_format.link(messages, SCHEMAS)
+    return chat_format.in_order(chat_format.link(messages, SCHEMAS))
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
