@@ -593,3 +593,61 @@ def stream_dedup(spark, sf_dir):
 def stream_buy_after_view(spark, sf_dir):
     folder = live.staged(spark, sf_dir)
     return live.run_to_table(live.purchases_after_views(live.requests_stream(spark, folder), live.requests_stream(spark, folder)))
+
+
+@query(f"WITH {LOG} SELECT ts, seq, plain AS url, client_ip, user_agent FROM cleaned")
+def stream_clean(spark, sf_dir):
+    """The raw log cleaned as it arrives."""
+    folder = shared(spark, "raw-log")
+    log = weblog(spark, sf_dir)
+    log.write.parquet(folder)
+    stream = spark.readStream.schema(log.schema).parquet(folder)
+    return live.run_to_table(live.cleaned(stream).select("ts", "seq", "url", "client_ip", "user_agent"))
+
+
+@query("SELECT e.event_id AS seq, CAST(json_extract_string(e.props, '$.k') AS INT) AS url_id, p.url FROM events e LEFT JOIN pages p ON CAST(json_extract_string(e.props, '$.k') AS INT) = p.page_id")
+def stream_named(spark, sf_dir):
+    """A stream joined with the table of URL names."""
+    urls = table(spark, sf_dir, "pages").select(F.col("page_id").cast("int").alias("url_id"), "url")
+    folder = live.staged(spark, sf_dir, flush=False)
+    return live.run_to_table(live.named(live.requests_stream(spark, folder).select("seq", "url_id"), urls))
+
+
+_FIXED = np.array([[1.0 if k % 4 == j else 0.0 for k in range(100)] for j in range(4)]) * 0.2
+_SCORED = f"""WITH {gap_sql(MIN30)}, s AS (SELECT user_id, min(ts) AS start, list_distinct(list(url_id)) AS u FROM sess GROUP BY user_id, session_no),
+d AS (SELECT user_id, start, j, len(u) + 25 * 0.04 - 2 * 0.2 * len(list_filter(u, lambda k: k % 4 = j)) AS d FROM s, range(4) r(j))
+SELECT user_id, start, j, round((1 / d) / sum(1 / d) OVER (PARTITION BY user_id, start), 6) AS u FROM d"""
+
+
+@query(_SCORED)
+def stream_scores(spark, sf_dir):
+    """Sessions that close are scored by four fixed centres."""
+    closed = live.run_to_table(live.session_vectors(_stream(spark, sf_dir), 100)).where("user_id >= 0")
+    return live.scored(closed, _FIXED, 2.0).select("user_id", "start", F.posexplode("u").alias("j", "u")).select("user_id", "start", F.col("j").cast("long").alias("j"), F.round("u", 6).alias("u"))
+
+
+@query()
+def stream_drift(spark, sf_dir):
+    """j, mass, moved: how far the centres went while the stream passed."""
+    follow = live.Drift(_FIXED, 1.2)
+    live.run_batches(live.session_vectors(_stream(spark, sf_dir), 100).where("user_id >= 0"), follow)
+    rows = [(j, float(follow.mass[j]), float(np.abs(follow.centres[j] - _FIXED[j]).max())) for j in range(len(_FIXED))]
+    return spark.createDataFrame(rows, "j int, mass double, moved double")
+
+
+@query("SELECT 1::BIGINT AS late")
+def stream_late(spark, sf_dir):
+    """A row a year behind the others comes in a file of its own after them, and is counted as late."""
+    folder = live.staged(spark, sf_dir, flush=False)
+    first = live.tumbling(live.requests_stream(spark, folder, per_trigger=1))
+    state = shared(spark, "late")
+
+    def run() -> list[dict]:
+        q = first.writeStream.foreachBatch(lambda b, n: b.write.format("noop").mode("overwrite").save()).outputMode("append").option("checkpointLocation", state).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return live.progress_of(q)
+
+    run()
+    late = table(spark, sf_dir, "events").limit(1).select("event_id", F.lit("2023-01-01 00:00:00").cast("timestamp_ntz").alias("ts"), "user_id", "event_type", "value", "props")
+    late.coalesce(1).write.mode("append").parquet(folder)
+    return spark.createDataFrame([(live.late_rows(run()),)], "late long")

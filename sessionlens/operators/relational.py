@@ -255,6 +255,34 @@ def map_fns(spark, sf_dir):
     return m.select("user_id", F.size(F.map_keys("m")).cast("long").alias("keys"), F.array_max(F.map_values("m")).alias("top"), F.coalesce(F.try_element_at("m", F.lit("view")), F.lit(0)).alias("views"))
 
 
+@rel("SELECT event_id, round(sqrt(value), 6) AS root, round(ln(1 + value), 6) AS log, round(pow(value, 2), 4) AS square, greatest(value, 10.0::DOUBLE) AS most, least(value, 10.0::DOUBLE) AS least, value / nullif(user_id % 3, 0) AS ratio, CAST(floor(value) AS BIGINT) AS down FROM events")
+def math_fns(spark, sf_dir):
+    v = F.col("value")
+    return table(spark, sf_dir, "events").select("event_id", F.round(F.sqrt(v), 6).alias("root"), F.round(F.log1p(v), 6).alias("log"), F.round(F.pow(v, 2), 4).alias("square"), F.greatest(v, F.lit(10.0)).alias("most"), F.least(v, F.lit(10.0)).alias("least"), F.try_divide(v, F.col("user_id") % 3).alias("ratio"), F.floor(v).alias("down"))
+
+
+@rel("SELECT d.doc_id, coalesce(quality, -1) AS quality, nullif(toxic, 0) AS toxic, CASE WHEN quality IS NULL THEN 'unknown' WHEN quality = 1 THEN 'good' ELSE 'poor' END AS grade, quality IS NOT DISTINCT FROM toxic AS same FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id")
+def null_fns(spark, sf_dir):
+    j = table(spark, sf_dir, "documents").select("doc_id").join(table(spark, sf_dir, "labels"), "doc_id", "left")
+    grade = F.when(F.col("quality").isNull(), "unknown").when(F.col("quality") == 1, "good").otherwise("poor")
+    return j.select("doc_id", F.coalesce("quality", F.lit(-1)).alias("quality"), F.nullif(F.col("toxic"), F.lit(0)).alias("toxic"), grade.alias("grade"), F.col("quality").eqNullSafe(F.col("toxic")).alias("same"))
+
+
+_HALVES = "a AS (SELECT user_id, event_type FROM events WHERE day(ts) <= 15), b AS (SELECT user_id, event_type FROM events WHERE day(ts) > 15)"
+
+
+@rel(f"WITH {_HALVES} SELECT user_id, event_type, 'kept' AS part FROM (SELECT * FROM a INTERSECT ALL SELECT * FROM b) UNION ALL SELECT user_id, event_type, 'lost' FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM b) UNION ALL SELECT user_id, event_type, 'any' FROM (SELECT * FROM a UNION SELECT * FROM b)")
+def setops_all(spark, sf_dir):
+    e = table(spark, sf_dir, "events")
+    a, b = (e.where(c).select("user_id", "event_type") for c in (F.dayofmonth("ts") <= 15, F.dayofmonth("ts") > 15))
+    parts = (("kept", a.intersectAll(b)), ("lost", a.exceptAll(b)), ("any", a.unionByName(b).distinct()))
+    out = None
+    for name, df in parts:
+        df = df.withColumn("part", F.lit(name))
+        out = df if out is None else out.unionByName(df)
+    return out
+
+
 @rel()
 def sample_hash(spark, sf_dir):
     return sample_by_hash(table(spark, sf_dir, "events"), "event_id", 0.1).select("event_id")

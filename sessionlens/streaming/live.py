@@ -1,7 +1,8 @@
-"""The methods on streams: cleaning, windows, sessions by both rules, weights and scores as rows arrive."""
+"""The methods on streams: stateless cleaning, windows, sessions by both rules, weights, scores by fixed centres and their drift."""
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from typing import Any
 
@@ -11,7 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
-from ..operators.clustering import membership
+from ..operators.cleaning import ROBOTS, SUFFIXES, drop_embedded, drop_robots, strip_query
+from ..operators.clustering import membership, memberships
 from ..operators.features import ramp_weight
 from ..plans.stage import shared
 from ..sources.logs import EVENT, table
@@ -110,6 +112,65 @@ def weigh_sessions(stream: DataFrame, gap: str = "30 minutes", lb: int = 1, ub:
     return each.select("user_id", F.col("session_window.start").alias("start"), "n_urls", ramp_weight(F.col("n_urls"), lb, ub).alias("weight"))
 
 
+def cleaned(log: DataFrame, suffixes=SUFFIXES, agents=ROBOTS) -> DataFrame:
+    """A stream of log records cleaned as they arrive: query parts, embedded files and listed robots go. It holds no state."""
+    return drop_robots(drop_embedded(log.withColumn("url", strip_query("url")), suffixes), agents)
+
+
+def session_vectors(stream: DataFrame, width: int, gap: str = "30 minutes") -> DataFrame:
+    """user_id, start, idx, val: closed page-stay sessions as binary vectors; URL numbers from ``width`` on have no coordinate."""
+    each = stream.groupBy(F.session_window("ts", gap), "user_id").agg(F.array_sort(F.collect_set("url_id")).alias("u"))
+    idx = F.filter("u", lambda k: k < width)
+    return each.select("user_id", F.col("session_window.start").alias("start"), idx.alias("idx"), F.transform(idx, lambda _: F.lit(1.0)).alias("val"))
+
+
+def scored(vectors: DataFrame, centres: np.ndarray, q: float) -> DataFrame:
+    """Adds the shares in the fixed centres' clusters (u) and the cluster: for a batch of a stream or any table of vectors."""
+    return memberships(vectors, centres, q)
+
+
+class Drift:
+    """Centres that follow a stream: for ``foreachBatch``. Each batch of session vectors is summed by cluster where it lies; old
+    mass is faded by ``keep``. The centres, which fit the driver, are all that comes back."""
+
+    def __init__(self, centres: np.ndarray, q: float, keep: float = 0.9):
+        self.centres, self.q, self.keep, self.mass, self.batches = centres.copy(), q, keep, np.zeros(len(centres)), 0
+
+    def __call__(self, batch: DataFrame, number: int) -> None:
+        q, c, width = self.q, *self.centres.shape
+        shares = memberships(batch, self.centres, q).select("idx", "val", F.posexplode("u").alias("j", "u")).withColumn("m", F.pow("u", F.lit(float(max(q, 1)))))
+        sums = shares.select("j", "m", F.explode(F.arrays_zip(F.concat(F.array(F.lit(-1)), F.col("idx")).alias("k"), F.concat(F.array(F.lit(1.0)), F.col("val")).alias("x"))).alias("z"))
+        total, moved = np.zeros(c), np.zeros((c, width))
+        for r in sums.groupBy("j", "z.k").agg(F.sum(F.col("m") * F.col("z.x")).alias("s")).collect():  # clusters x coordinates
+            if r["k"] < 0:
+                total[r["j"]] = r["s"]
+            else:
+                moved[r["j"], r["k"]] = r["s"]
+        old = self.mass * self.keep
+        now = old + total
+        some = now > 0
+        self.centres[some] = (self.centres[some] * old[some, None] + moved[some]) / now[some, None]
+        self.mass, self.batches = now, self.batches + 1
+
+
+def run_batches(result: DataFrame, each, mode: str = "append") -> list[dict]:
+    """Runs a streaming result over what there is, a call of ``each`` for every batch, and returns the batches' progress."""
+    spark = result.sparkSession
+    query = result.writeStream.foreachBatch(each).outputMode(mode).option("checkpointLocation", f"{shared(spark, 'stream')}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return progress_of(query)
+
+
+def progress_of(query) -> list[dict]:
+    """The recent progress of a streaming query as plain tables."""
+    return [json.loads(p.json) if hasattr(p, "json") else dict(p) for p in query.recentProgress]
+
+
+def late_rows(progress: list[dict]) -> int:
+    """How many rows stateful operators dropped since they came behind the watermark."""
+    return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in progress for op in p.get("stateOperators", []))
+
+
 def drift(centres: np.ndarray, mass: np.ndarray, x: np.ndarray, w: np.ndarray, q: float, keep: float = 0.9) -> tuple[np.ndarray, np.ndarray]:
     """Centres moved by a small batch: old mass is faded by ``keep``, new points come in with their shares."""
     d = np.maximum((x * x).sum(1)[:, None] + (centres * centres).sum(1)[None, :] - 2 * x @ centres.T, 0)

@@ -24,7 +24,7 @@ def shown(row):
 
 
 #: The others run where all are asked for, with ALL_QUERIES=1.
-FEW = ("clean_full", "cleaning_report", "sess_gap_24h", "sess_duration_30m", "sess_soft", "retention", "feat_dwell", "kmeans_3iter", "fcm_3iter", "fcm_validity", "join_asof", "win_frames", "stream_session_duration")
+FEW = ("clean_full", "cleaning_report", "sess_gap_24h", "sess_duration_30m", "sess_soft", "retention", "feat_dwell", "kmeans_3iter", "fcm_3iter", "fcm_validity", "join_asof", "win_frames", "stream_session_duration", "chain_report", "chain_vectors", "fcm_sweep_fixed", "fcm_3iter_hard", "fcm_3iter_none", "sess_compare", "sess_duration_24h", "stream_scores", "stream_late", "users_auto", "prune_long_tail", "null_fns", "math_fns")
 
 
 @pytest.mark.parametrize("name", sorted(catalogue.oracle_sql()) if os.environ.get("ALL_QUERIES") else FEW)
