@@ -57,7 +57,8 @@ def targets(sized: DataFrame, weights: Sequence[float] = WEIGHTS, budget: float
     rows.sort(key=lambda r: (r["source"] is None, (r["source"] or "").encode("utf-32-be")))
     sizes = [int(r["n"] or 0) for r in rows]
     got = fill(sizes, [weights[i % len(weights)] for i in range(len(rows))], budget * sum(sizes), most)
-    slots = [round(t) // n * -(-n // block) + -(-(round(t) % n) // block) if n else 0 for n, t in zip(sizes, got, strict=True)]
+    words = [int(t + 0.5) for t in got]  # halves go up, as in ``mix``
+    slots = [w // n * -(-n // block) + -(-(w % n) // block) if n else 0 for n, w in zip(sizes, words, strict=True)]
     out = [(r["source"], i, n, t, q) for i, (r, n, t, q) in enumerate(zip(rows, sizes, got, slots, strict=True))]
     return sized.sparkSession.createDataFrame(out, "source string, number int, source_size long, target double, quota long")
 
@@ -101,7 +102,7 @@ def schedule(spark: SparkSession, sources: DataFrame, sequence: str = "golden")
 
 def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: Sequence[float] = WEIGHTS, budget: float = BUDGET, most: float = MOST, block: int = BLOCK, seed: int = SEED, sequence: str = "golden", carry: Sequence[str] = ()) -> DataFrame:
     """key, size, source_size, target, taken: for every row of ``docs`` the words it has and the words the mix
-    takes of it, repeats counted; ``carry``: further columns to hand through.
+    takes of it, repeats counted; with ``carry`` a struct _carry of further columns, handed through as they are.
 
     Documents of a source lie end to end in the order of a hash of their key and text; blocks of ``block`` words are cut
     from that line, the last one shorter. Rounds over the blocks take whole blocks but for the very last slot, which takes
@@ -109,7 +110,7 @@ def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str =
     """
     spark = docs.sparkSession
     size = words_in(F.col(text))
-    sized = docs.select(F.col(key), F.col(source).cast("string").alias("source"), size.alias("size"), F.xxhash64(F.col(key), F.col(text), F.lit(seed)).alias("_order"), F.monotonically_increasing_id().alias("_row"), (F.struct(*carry) if carry else F.lit(None)).alias("_carry"))
+    sized = docs.select(F.col(key), F.col(source).cast("string").alias("source"), size.alias("size"), F.xxhash64(F.col(key), F.col(text), F.lit(seed)).alias("_order"), F.monotonically_increasing_id().alias("_row"), (F.struct(*(F.col(f"`{c}`") for c in carry)) if carry else F.lit(None)).alias("_carry"))
     sized = keep(sized, "sizes")
     by = targets(sized, weights, budget, most, block)
     named = by.withColumnRenamed("source", "_name")
@@ -142,20 +143,21 @@ def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str =
     out = some.select(*columns).unionByName(line.where("size = 0").withColumn("taken", F.lit(0).cast("long")).select(*columns))
     if carry:  # texts and the like join at the end; only sizes were put in order
         out = out.join(sized.select("_row", "_carry"), "_row")
-    return out.select(key, "size", "source_size", "target", "taken", *(F.col(f"_carry.{c}").alias(c) for c in carry))
+    return out.select(key, "size", "source_size", "target", "taken", *(["_carry"] if carry else []))
 
 
 def mixed_documents(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:
     """The documents of the mix with the columns of ``docs``: a document that is taken k times whole comes k times; a
     last partial taking (at the end of a source's schedule, or of a block before it) comes with as many of its first words."""
     columns = docs.columns
-    got = mix(docs, key, text, source, carry=[c for c in columns if c != key], **options)
+    got = mix(docs, key, text, source, carry=columns, **options).select("size", "taken", "_carry")
     whole, rest = F.floor(F.col("taken") / F.col("size")), F.col("taken") % F.col("size")
     copies = F.concat(F.array_repeat(F.lit(None).cast("long"), whole.cast("int")), F.when(rest > 0, F.array(rest)).otherwise(F.array().cast("array<long>")))
-    each = got.where("taken > 0").withColumn("_part", F.explode(copies))  # at most the most epochs, and one
-    words = F.split(F.ltrim(F.col(text)), r"[\x20\x09-\x0D]+")
-    cut = F.when(F.col("_part").isNull(), F.col(text)).otherwise(F.array_join(F.slice(words, F.lit(1), F.col("_part").cast("int")), " "))
-    out = each.withColumn(text, cut)
+    each = got.where("taken > 0").select("_carry", F.explode(copies).alias("_part"))  # at most the most epochs, and one
+    own = F.col(f"_carry.`{text}`")
+    words = F.filter(F.split(own, r"[\x20\x09-\x0D]+"), lambda w: w != "")
+    cut = F.when(F.col("_part").isNull(), own).otherwise(F.array_join(F.slice(words, F.lit(1), F.col("_part").cast("int")), " "))
+    made = {text: cut}
     if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.when(F.col("_part").isNull(), F.col("n_chars")).otherwise(F.length(text).cast(dict(docs.dtypes)["n_chars"])))
-    return out.select(*columns)
+        made["n_chars"] = F.when(F.col("_part").isNull(), F.col("_carry.n_chars")).otherwise(F.length(cut).cast(dict(docs.dtypes)["n_chars"]))
+    return each.select(*(made.get(c, F.col(f"_carry.`{c}`")).alias(c) for c in columns))

@@ -279,8 +279,8 @@ def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", **opti
     """The rows of ``docs`` without near copies: of each component the row with the least key (nulls last) and, where a key
     is repeated, the least text hash. Rows that share key and text are one document and stay once."""
     names = docs.columns
-    row = F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("key"), F.xxhash64(text).alias("of"))
-    given = docs.withColumn("_row", row)
-    found = near_copies(given.select("_row", F.col(text).alias("text")), "_row", "text", **options)
-    kept = keep(found.where("_row = component_id").select("_row").distinct(), "kept")
-    return given.join(kept, "_row", "left_semi").dropDuplicates(["_row"]).select(*names)
+    own = "_row" + "_" * max(map(len, names))  # a name that docs doesn't have
+    given = docs.withColumn(own, F.struct(F.col(key).isNull().alias("none"), F.col(key).alias("key"), F.xxhash64(text).alias("of")))
+    found = near_copies(given.select(own, F.col(text).alias("text")), own, "text", **options)
+    kept = keep(found.where(F.col(own) == F.col("component_id")).select(own).distinct(), "kept")
+    return given.join(kept, own, "left_semi").dropDuplicates([own]).select(*names)

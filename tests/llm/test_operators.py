@@ -437,6 +437,59 @@ def test_targets_are_filled_and_met(spark):
     assert again.sort_values("doc_id").reset_index(drop=True).equals(golden.sort_values("doc_id").reset_index(drop=True))
 
 
+def plain_mix(rows, block, most=2.0, budget=1.5, weights=(3, 1, 2)):
+    """Word by word: rows of (source, size, order). Gives what is taken of each row."""
+    phi = int((5**0.5 - 1) / 2 * (1 << 53))
+    names = sorted({r[0] for r in rows}, key=lambda s: (s is None, s or ""))
+    sizes = [sum(r[1] for r in rows if r[0] == s) for s in names]
+    target, free, left = [0.0] * len(names), {i for i, n in enumerate(sizes) if n}, budget * sum(sizes)
+    while free:
+        total = sum(weights[i % 3] for i in free)
+        over = {i for i in free if left * weights[i % 3] / total >= most * sizes[i]}
+        for i in over or free:
+            target[i] = most * sizes[i] if over else left * weights[i % 3] / total
+        if not over:
+            break
+        left -= sum(target[i] for i in over)
+        free -= over
+    words = []  # of each source: the rows its words belong to, in order
+    for s in names:
+        line = sorted((r[2], k) for k, r in enumerate(rows) if r[0] == s)
+        words.append([k for _, k in line for _ in range(rows[k][1])])
+    quota = [0] * len(names)
+    for i, t in enumerate(target):  # slots until the target is reached
+        got = 0
+        while got < int(t + 0.5):
+            per = -(-sizes[i] // block)
+            got += min(block, sizes[i] - quota[i] % per * block)
+            quota[i] += 1
+    slots, used, taken, had = sum(quota), [0] * len(names), [0] * len(rows), [0] * len(names)
+    edges = [sum(quota[:i]) / slots for i in range(len(names)) if quota[i]] if slots else []
+    live = [i for i in range(len(names)) if quota[i]]
+    order = [live[sum(e <= (slot * phi % (1 << 53)) / float(1 << 53) for e in edges) - 1] for slot in range(slots)]
+    for i in [*order, *live * slots]:  # what a source lacks at the end comes then
+        if used[i] < quota[i]:
+            per = -(-sizes[i] // block)
+            b = used[i] % per
+            for k in words[i][b * block : (b + 1) * block][: int(target[i] + 0.5) - had[i]]:
+                taken[k] += 1
+                had[i] += 1
+            used[i] += 1
+    return {s: (n, t) for s, n, t in zip(names, sizes, target, strict=True)}, taken
+
+
+@pytest.mark.parametrize("block", [7, 64])
+def test_the_mix_is_taken_word_by_word(spark, block):
+    rnd = random.Random(3)
+    rows = [(i, " ".join(["w"] * rnd.choice([0, 1, 3, 20, 90])) if i % 9 else None, "en", rnd.choice(["a", "b", "b", "b", "é", None]), 0) for i in range(90)]
+    df = docs(spark, rows)
+    order = {r["doc_id"]: r["h"] for r in df.select("doc_id", F.xxhash64("doc_id", "text", F.lit(mixing.SEED)).alias("h")).collect()}
+    by, taken = plain_mix([(r[3], len((r[1] or "").split()), order[r[0]]) for r in rows], block)
+    got = {r["doc_id"]: r for r in mixing.mix(df, block=block).collect()}
+    assert [got[r[0]]["taken"] for r in rows] == taken
+    assert all((got[r[0]]["source_size"], got[r[0]]["target"]) == (by[r[3]][0], pytest.approx(by[r[3]][1])) for r in rows)
+
+
 def test_schedule_keeps_to_its_targets_throughout(spark):
     sources = spark.createDataFrame([("a", 0, 0, 0.0, 300), ("b", 1, 0, 0.0, 100), ("c", 2, 0, 0.0, 1)], "source string, number int, source_size long, target double, quota long")
     for sequence in ("golden", "van_der_corput"):
@@ -561,10 +614,66 @@ def test_each_stage_is_its_brute_force(spark):
             windows[len(x[s : s + 10])].add(tuple(x[s : s + 10]))
     clean = {d for d in ids[2] if not any(tuple(low(texts[d])[s : s + n]) in found for n, found in windows.items() for s in range(len(low(texts[d])) - n + 1))}
     assert ids[3] == clean and len(clean) < len(ids[2])
-    mixed = P.mixed(spark, read["docs"], SMALL)
+    path = f"{spark.conf.get('spark.checkpoint.dir')}/test-mixed"
+    P.mixed(spark, read["docs"], SMALL).write.mode("overwrite").parquet(path)
+    mixed = spark.read.parquet(path)
     assert mixed.columns == list(pdf.columns)
-    last = P.token_ids(spark, mixed, SMALL)
-    assert last.where("not verified").count() == 0 and last.count() == mixed.count()
+    want = {r["doc_id"]: r["taken"] for r in mixing.mix(read["docs"]).collect()}
+    split = lambda t: re.findall(r"[^\x20\x09-\x0D]+", t)
+    copies = defaultdict(list)
+    for r in mixed.collect():
+        copies[r["doc_id"]].append(r["text"])
+    for d, n in want.items():
+        size = len(split(texts[d] or ""))
+        assert copies[d].count(texts[d]) >= (n // size if size else 0) and len(copies[d]) == (-(-n // size) if size else 0)
+        assert sum(len(split(t)) for t in copies[d]) == n and all(split(t) == split(texts[d])[: len(split(t))] for t in copies[d])
+    lib = ByteBpe("byte_bpe_50k.json").lib
+    ids_of = lambda t: [*lib.encode(t, add_special_tokens=False).ids, 0]
+    last = sorted(P.token_ids(spark, mixed, SMALL).collect(), key=lambda r: r["start"])
+    assert all(r["verified"] for r in last) and [r["doc_id"] for r in last] == sorted(d for d in copies for _ in copies[d])
+    lines = sorted((d, len(i), zlib.crc32(np.array(i, "<u4").tobytes())) for d in copies for i in map(ids_of, copies[d]))
+    assert sorted((r["doc_id"], r["n_tokens"], r["ids_crc32"]) for r in last) == lines
+    assert [r["start"] for r in last] == np.cumsum([0, *(r["n_tokens"] for r in last)])[:-1].tolist()
+
+
+def test_stages_judge_rows_and_take_hard_ones(spark, tmp_path):
+    import corpus_pipeline as P
+
+    root = f"file://{tmp_path}"
+    window = "alpha beta gamma delta epsilon zeta eta theta iota kappa"
+    spark.createDataFrame([(1, window)], "item_id long, text string").write.parquet(f"{root}/benchmark.parquet")
+    spark.createDataFrame([(1, 0, 0), (None, None, None)], "doc_id long, quality int, toxic int").write.parquet(f"{root}/labels.parquet")
+    rows = [*ODD, (5, f"x {window} y", "en", "a", 1), (8, "Once only here", "en", "a", 1), (8, "Once  ONLY here", "en", None, 1), (8, "quite another text of this id", "en", "b", 2), (9, f"{window}", "en", "b", 2)]
+    clash = spark.createDataFrame([(*r, 1, 2, "z", "q", 5, 6) for r in rows], DOCS + ", score int, predicted int, _row string, doc string, size int, node int")
+    for df in (docs(spark, rows), clash, docs(spark, [])):
+        n = df.count()
+        toxic = P.toxic(spark, df, root)
+        assert toxic.columns == df.columns and toxic.count() == n  # one label: nothing to tell apart
+        near = P.near_copies(spark, df, root)
+        kept = [(r["doc_id"], r["text"]) for r in near.collect()]
+        assert near.columns == df.columns and (not n or (len(kept) == len(set(kept)) == 9 and sum(t is None or not t.strip() for _, t in kept) == 1))
+        clean = P.decontaminated(spark, df, root)
+        left = [r["text"] for r in clean.collect()]
+        assert clean.columns == df.columns and (not n or (len(left) == n - 2 and "one" in left))
+        mixed = P.mixed(spark, clean, root)
+        assert mixed.columns == df.columns
+        if "_row" in df.columns and n:
+            own = ["score", "predicted", "_row", "doc", "size", "node"]
+            assert all(out.select(*own).distinct().collect() == [(1, 2, "z", "q", 5, 6)] for out in (toxic, near, clean, mixed))
+        last = P.token_ids(spark, mixed, root).collect()
+        assert len(last) == mixed.count() and all(r["verified"] for r in last)
+
+
+def test_a_missing_or_replaced_recipe_is_noticed(spark):
+    store = content_store.write_store(docs(spark))
+    assert content_store.manifest(store).first() == content_store.manifest(store, written=False).first()
+    for change in (lambda r: r.where("doc_id is null or doc_id <> 5"), lambda r: r.unionByName(r.where("doc_id = 5"))):
+        bad = content_store.Store(store.spark, store.path, change(store.recipes), store.blocks, store.width, store.kind)
+        assert content_store.manifest(bad).first() != content_store.manifest(bad, written=False).first()
+        assert not any(r["verified"] for r in content_store.read_back(bad).collect())
+    words = spark.createDataFrame([("b", "one two"), ("a", None)], "doc_id string, text string")
+    got = {r["doc_id"]: (r["start"], r["verified"]) for r in content_store.read_back(content_store.write_store(words)).collect()}
+    assert got["a"] == (0, True) and got["b"] == (1, True)
 
 
 def word_sets(texts):
