@@ -169,15 +169,21 @@ def full_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_sweep(spark, sf_dir, range(4, 61), max_iter=30)
 
 
+def shuffle_bytes(spark: SparkSession) -> int:
+    """Bytes that the application's tasks have written for exchanges so far."""
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(found.apply(i).totalShuffleWrite() for i in range(found.size()))
+
+
 def run_stats(spark: SparkSession, sf_dir: str, counts=(4, 6, 8)) -> DataFrame:
-    """c, iterations, seconds, seconds_per_pass of fuzzy c-means runs that go alone."""
+    """c, iterations, seconds, seconds_per_pass, shuffle_bytes of fuzzy c-means runs that go alone."""
     points, rows = event_points(spark, sf_dir, 10), []
     for c in counts:
-        began = time.perf_counter()
+        began, sent = time.perf_counter(), shuffle_bytes(spark)
         run = clustering.fcm(points, c, 10, 1.2, max_iter=5)
         took = time.perf_counter() - began
-        rows.append((c, run.iterations, took, took / (run.iterations + 1)))
-    return spark.createDataFrame(rows, "c int, iterations int, seconds double, seconds_per_pass double")
+        rows.append((c, run.iterations, took, took / (run.iterations + 1), shuffle_bytes(spark) - sent))
+    return spark.createDataFrame(rows, "c int, iterations int, seconds double, seconds_per_pass double, shuffle_bytes long")
 
 
 def hard_and_soft(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.2, top: int = 40, min_urls: int = 40) -> DataFrame:
