@@ -251,13 +251,10 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
     nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "parity", "n", "first")).alias("r"), F.min(key).alias("_least"))
     nodes = keep(nodes.select("node", "r.*", "_least"), "nodes")
-    edges = _links(_close(nodes, radius), nodes, similarity, shingle, seed)
-    tree = keep(components(edges, "links"), "roots")
     root = F.coalesce("root", "node").alias("root")
-    lists = nodes.join(tree, "node", "left").select("node", "n", root, F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
+    lists = nodes.select("node", "n", F.col("node").alias("root"), F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
     found = keep(_round(lists, similarity), "pairs")
-    more = _links(found.where("b is not null").select("a", "b"), nodes, similarity, shingle, seed)
-    edges = edges.union(more)
+    edges = _links(_close(nodes, radius).union(found.where("b is not null").select("a", "b")), nodes, similarity, shingle, seed)
     tree = keep(components(edges, "links"), "roots")
     left = found.where("b is null").select(F.col("a").alias("node"), "s", "n", "at")
     if not left.isEmpty():
