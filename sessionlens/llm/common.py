@@ -16,6 +16,9 @@ from pyspark.sql import types as T
 from xxhash import xxh3_128_digest
 
 
+#: Edges that a task reduces to a forest at once, and that one task finishes.
+EDGES = 1_000_000
+
 #: Folders made for local applications that name none.
 _OWN: dict[str, str] = {}
 
@@ -93,21 +96,52 @@ def running_total(df: DataFrame, keys: Sequence, value: str, out: str, what: str
     return summed
 
 
+def _forests(edges: DataFrame, every: bool) -> DataFrame:
+    """lo, hi: of each run of ``EDGES`` edges in a task every node but the least of its set, beside that least one (``every``: and
+    the least beside itself)."""
+
+    def join(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        a, b = (pa.concat_arrays([x.column(i) for x in held]) for i in (0, 1))
+        nodes = pc.unique(pa.concat_arrays([a, b]))
+        nodes = nodes.take(pc.sort_indices(nodes))
+        parent = np.arange(len(nodes))
+        union_pairs(parent, *(pc.index_in(x, value_set=nodes).to_numpy(zero_copy_only=False).astype(np.int64) for x in (a, b)))
+        hi = np.arange(len(nodes)) if every else np.flatnonzero(parent != np.arange(len(nodes)))
+        return pa.RecordBatch.from_arrays([nodes.take(pa.array(parent[hi])), nodes.take(pa.array(hi))], names=["lo", "hi"])
+
+    def reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+        for b in batches:
+            held.append(b)
+            n += b.num_rows
+            if n >= EDGES and not every:
+                yield join(held)
+                held, n = [], 0
+        if n:
+            yield join(held)
+        slim()
+
+    return edges.mapInArrow(reduce, edges.schema)
+
+
 def components(edges: DataFrame, what: str = "edges") -> DataFrame:
     """Connected components of the undirected ``edges`` (columns a, b): rows (node, root) for every node of an
     edge with two different ends, root being the smallest node reachable.
 
-    Alternates two star contractions: every node hands its larger neighbours to its smallest one, then its smaller
-    ones to the smallest. The number of edges never grows, nothing but a checksum reaches the driver, and each
-    round is written to the shared folder. So are the minima of a round: joined from a table of their own, the many edges of
-    a hub can be split over tasks.
+    First every task reduces the edges it has to a forest, ``EDGES`` of them at a time. What is left is finished in one task
+    if it is ``EDGES`` at most. Until it is, two star contractions alternate: every node hands its larger neighbours to its
+    smallest one, then its smaller ones to the smallest. The number of edges never grows, nothing but a checksum reaches
+    the driver, and each round is written to the shared folder. So are the minima of a round: joined from a table of their
+    own, the many edges of a hub can be split over tasks.
     """
-    lo, hi = F.least("a", "b"), F.greatest("a", "b")
-    now = keep(edges.where("a <> b").select(lo.alias("lo"), hi.alias("hi")).distinct(), what)
+    pairs = edges.where("a <> b").select(F.col("a").alias("lo"), F.col("b").alias("hi"))
+    now = keep(_forests(pairs, False), what)
     last = None
     while True:
         mark = now.agg(F.count("*").alias("n"), F.sum(F.xxhash64("lo", "hi").cast("decimal(38,0)")).alias("h")).first()
-        if mark["n"] == 0 or mark == last:
+        if mark["n"] <= EDGES:
+            return _forests(now.repartition(1), True).select(F.col("hi").alias("node"), F.col("lo").alias("root"))
+        if mark == last:
             return now.select(F.col("hi").alias("node"), F.col("lo").alias("root")).union(now.select(F.col("lo"), F.col("lo")).distinct())
         last = mark
         both = now.select(F.col("lo").alias("u"), F.col("hi").alias("v")).union(now.select("hi", "lo"))

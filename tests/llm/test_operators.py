@@ -13,7 +13,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from conftest import SMALL
-from sessionlens.llm import chat_format, content_store, decontaminate, embeddings, html_text, mixing, queries, simhash, similarity, token_counts, toxicity, url_filters
+from sessionlens.llm import chat_format, common, content_store, decontaminate, embeddings, html_text, mixing, queries, simhash, similarity, token_counts, toxicity, url_filters
 from sessionlens.llm.common import UnitCache, components, running_total, union_pairs
 from sessionlens.llm.tokens import ByteBpe, PieceBpe
 
@@ -47,6 +47,20 @@ def test_running_total_and_components(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+@pytest.mark.parametrize("most", [1_000_000, 10])
+def test_components_finished_in_one_task_and_by_contractions(spark, monkeypatch, most):
+    monkeypatch.setattr(common, "EDGES", most)
+    rng = np.random.default_rng(3)
+    ids = rng.integers(0, 250, (180, 2))
+    parent = np.arange(250)
+    union_pairs(parent, ids[:, 0], ids[:, 1])
+    for kind, name in (("long", int), ("string", "{:03d}".format)):
+        edges = [(name(a), name(b)) for a, b in ids.tolist()]
+        found = components(spark.createDataFrame([*edges, *edges[:9], (None, name(1))], f"a {kind}, b {kind}").repartition(5)).collect()
+        ends = {x for a, b in ids.tolist() if a != b for x in (a, b)}
+        assert sorted(tuple(r) for r in found) == sorted((name(x), name(int(parent[x]))) for x in ends)
+
+
 def test_the_cache_of_units_gives_what_was_put_and_never_grows():
     cache, size = UnitCache(2, np.dtype(np.uint16), 1 << 10), None
     for i in range(40):
