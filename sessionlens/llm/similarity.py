@@ -251,6 +251,8 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
     nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "parity", "n", "first")).alias("r"), F.min(key).alias("_least"))
     nodes = keep(nodes.select("node", "r.*", "_least"), "nodes")
+    members = keep(sets.select(key, "node"), "members")
+    discard(sets)
     root = F.coalesce("root", "node").alias("root")
     lists = nodes.select("node", "n", F.col("node").alias("root"), F.posexplode("first").alias("at", "s")).withColumn("at", F.col("at").cast("long"))
     found = keep(_round(lists, similarity), "pairs")
@@ -269,7 +271,7 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     named = named_by_least(nodes.select("node", "_least"), tree, "node")
     discard(found)
     discard(nodes)
-    return sets.select(key, "node").join(named, "node").select(key, "component_id")
+    return members.join(named, "node").select(key, "component_id")
 
 
 def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
