@@ -18,10 +18,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..plans.stage import settle
+
 #: Distances (squared) up to this count as none.
 EPS = 1e-18
-#: Up to so many coordinates a batch is made dense; beyond, sums run over the entries that are there.
-DENSE = 4096
+#: Up to so many coordinates a batch is made dense; beyond, sums run over the entries that are there. Rows of a dense batch:
+#: few, so that a run's distances stay in the processor's cache.
+DENSE, ROWS = 4096, 512
 #: Bytes of centres that a pass broadcasts and the driver holds; numbers of a block of sums; bytes of all tasks' sums that
 #: may go straight to the driver.
 BUDGET, BLOCK, DIRECT = 256_000_000, 1 << 16, 32_000_000
@@ -127,17 +130,52 @@ def _batch(idx: pa.Array, val: pa.Array, width: int):
     return s, np.bincount(row, x * x, len(n))
 
 
-def _sums(x, norm2: np.ndarray, run: Run, mult: np.ndarray, w: np.ndarray, width: int) -> np.ndarray:
-    """A run's sums over a batch, flat: masses, weighted points, J, compactness without and with weights, weight, points."""
-    v = run.centres
-    dots = x @ v.T if isinstance(x, np.ndarray) else x.dots(v)
-    d = np.maximum(norm2[:, None] + (v * v).sum(axis=1)[None, :] - 2 * dots, 0.0)
-    u = membership(d, run.q)
-    uq = u if run.q <= 1 else u * u if run.q == 2 else u**run.q
+def _sums(x, norm2: np.ndarray, run: Run, mult: np.ndarray, w: np.ndarray, width: int, room: tuple[np.ndarray, np.ndarray] | None = None) -> np.ndarray:
+    """A run's sums over a batch, flat: masses, weighted points, J, compactness without and with weights, weight, points.
+
+    Clusters are rows here, so that every step runs along the points, in the two arrays of ``room``. With r the distances over
+    the nearest one and t = r ** (-1 / (q - 1)), the shares are u = t / s (s: their sum), and u ** q = t / r / s ** q: one
+    logarithm and one exponential for each point and cluster.
+    """
+    v, q, n = run.centres, run.q, len(norm2)
+    r, t = room if room else (np.empty(len(v) * n), np.empty(len(v) * n))
+    r, t = (a[: len(v) * n].reshape(len(v), n) for a in (r, t))
+    if isinstance(x, np.ndarray):
+        np.matmul(-2 * v, x.T, out=r)
+    else:
+        np.multiply(x.dots(v).T, -2, out=r)
+    r += norm2
+    r += (v * v).sum(axis=1)[:, None]
+    near = r.min(axis=0)
+    if (near < 0).any():
+        np.maximum(r, 0.0, out=r)
+        near = np.maximum(near, 0.0)
+    hit = near <= EPS
+    unit = np.where(hit, 1.0, near)
+    r /= unit
+    if q <= 1:
+        t[:] = 0.0
+        t[r.argmin(axis=0), np.arange(n)] = 1.0
+    else:
+        with np.errstate(divide="ignore", over="ignore"):  # points on centres
+            if q == 2:
+                np.divide(1.0, r, out=t)
+            else:
+                np.log(r, out=t)
+                t *= -1 / (q - 1)
+                np.exp(t, out=t)
+        if hit.any():
+            t[:, hit] = r[:, hit] <= EPS
+    s = t.sum(axis=0)
+    spread = unit * np.einsum("ij,ij,ij->j", t, t, r) / (s * s)
+    if q > 1:
+        if hit.any():
+            r[:, hit] = 1.0
+        t /= r
     count = w if run.weighting == "hard" else mult  # removed sessions are no points
-    m = uq * (w if run.update == "objective" else count)[:, None]
-    moved = m.T @ x if isinstance(x, np.ndarray) else x.sums(m, width)
-    return np.concatenate([m.sum(axis=0), moved.ravel(), [(w[:, None] * uq * d).sum(), (count[:, None] * u * u * d).sum(), (w[:, None] * u * u * d).sum(), w.sum(), count.sum()]])
+    t *= (w if run.update == "objective" else count) / s**q
+    moved = t @ x if isinstance(x, np.ndarray) else x.sums(np.ascontiguousarray(t.T), width)
+    return np.concatenate([t.sum(axis=1), moved.ravel(), [(w * near * s ** (1 - q)).sum(), (count * spread).sum(), (w * spread).sum(), w.sum(), count.sum()]])
 
 
 def shards(runs: Sequence[Run], width: int, budget: int = BUDGET) -> list[list[Run]]:
@@ -164,11 +202,12 @@ def _gather(points: DataFrame, runs: Sequence[Run], width: int, rows: int) -> li
     spark = points.sparkSession
     names = sorted({r.weighting for r in runs})
     sent = spark.sparkContext.broadcast(list(runs))  # within the budget
-    step = max(64, min(rows, 4_000_000 // max(width if width <= DENSE else 1, 1)))
+    step = min(rows, ROWS) if width <= DENSE else rows
     sizes = [len(r.centres) * (1 + width) + 5 for r in runs]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = None
+        total, most = None, max(len(r.centres) for r in sent.value)
+        room = np.empty(most * step), np.empty(most * step)
         for big in batches:
             for i in range(0, big.num_rows, step):
                 b = big.slice(i, step)
@@ -178,7 +217,7 @@ def _gather(points: DataFrame, runs: Sequence[Run], width: int, rows: int) -> li
                 total = np.zeros(sum(sizes)) if total is None else total
                 at = 0
                 for r, size in zip(sent.value, sizes, strict=True):
-                    total[at : at + size] += _sums(x, norm2, r, mult, w[r.weighting], width)
+                    total[at : at + size] += _sums(x, norm2, r, mult, w[r.weighting], width, room)
                     at += size
         yield from blocks({} if total is None else {k: total[k * BLOCK : (k + 1) * BLOCK] for k in range(-(-len(total) // BLOCK))})
 
@@ -261,6 +300,12 @@ def iterate(points: DataFrame, runs: Sequence[Run], width: int, tol: float = 1e-
     return runs
 
 
+def spread(points: DataFrame) -> DataFrame:
+    """The points, written once in as many files as there are shuffle partitions, so that a pass over few of them keeps every
+    core busy too."""
+    return settle(points.repartition(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))), "points")
+
+
 # ---- starts
 def starts(points: DataFrame, c: int, width: int, how: str = "hash", seed: int = 1, pool: int = 2048) -> np.ndarray:
     """c different points as centres: 'hash' takes those of least hash, 'first' the least vectors, 'farthest' picks from a

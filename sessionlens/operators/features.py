@@ -18,9 +18,14 @@ def prune_urls(requests: DataFrame, min_access: int = 2, url: str = "url_id") ->
     return requests.join(kept, url, "left_semi")
 
 
-def prune_support(sessions: DataFrame, min_support: int = 2, url: str = "url_id", session: str = "session_id") -> DataFrame:
-    """Requests of URLs that stand in so many different sessions."""
-    kept = sessions.select(url, session).distinct().groupBy(url).agg(F.count("*").alias("_n")).where(F.col("_n") >= min_support).select(url)
+def url_support(sessions: DataFrame, url: str = "url_id", session: str = "session_id") -> DataFrame:
+    """url, _n: in how many different sessions it stands."""
+    return sessions.select(url, session).distinct().groupBy(url).agg(F.count("*").alias("_n"))
+
+
+def prune_support(sessions: DataFrame, min_support: int = 2, url: str = "url_id", session: str = "session_id", support: DataFrame | None = None) -> DataFrame:
+    """Requests of URLs that stand in so many different sessions. support: what ``url_support`` gave, if it is known."""
+    kept = (url_support(sessions, url, session) if support is None else support).where(F.col("_n") >= min_support).select(url)
     return sessions.join(kept, url, "left_semi")
 
 

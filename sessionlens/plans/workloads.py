@@ -84,14 +84,16 @@ def chain(spark: SparkSession, sf_dir: str, beta_us: int = DAY, rule: str = "gap
     of the mean accesses, then of the mean support: the given logs have no URL of one access, so fixed limits would do nothing."""
     raw = weblog(spark, sf_dir)
     cleaned, urls = cleaning_ops.clean(raw)
-    cleaned = settle(cleaning_ops.identify_users(cleaned, "ip_agent", "ip_alias", "ua_alias"), "cleaned")
+    cleaned = cleaning_ops.identify_users(cleaned, "ip_agent", "ip_alias", "ua_alias")
+    cleaned = settle(cleaned.select("user_key", "ts", "seq", "url_id", "bytes"), "cleaned")  # what the steps below read
     mean = cleaned.agg((F.count("*") / F.countDistinct("url_id")).alias("m")).first()["m"] or 0.0
     accessed = features.prune_urls(cleaned, share * mean)
-    sessions = settle(sessionize.sessionize(accessed, rule, beta_us, user="user_key"), "sessions")
-    support = sessions.groupBy("url_id").agg(F.countDistinct("session_id").alias("n")).agg(F.avg("n").alias("m")).first()["m"] or 0.0
-    supported, numbers, n = features.number_urls(features.prune_support(sessions, share * support))
+    sessions = settle(sessionize.sessionize(accessed, rule, beta_us, user="user_key").drop("pos"), "sessions")
+    support = settle(features.url_support(sessions), "support")
+    mean = support.agg(F.avg("_n").alias("m")).first()["m"] or 0.0
+    supported, numbers, n = features.number_urls(features.prune_support(sessions, share * mean, support=support))
     names = numbers.join(urls, "url_id").select("url", "number")
-    return Chain(raw, cleaned, accessed, sessions, settle(supported, "supported"), names, n)
+    return Chain(raw, cleaned, accessed, sessions, supported, names, n)
 
 
 def chain_report(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -109,7 +111,7 @@ def chain_report(spark: SparkSession, sf_dir: str) -> DataFrame:
 def chain_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """user_key, session_no, url, freq, n_urls, w: the vectors that clustering reads, with URL names, and the graded weights."""
     c = chain(spark, sf_dir)
-    items = features.profile_items(c.supported, user="user_key", session="session_no")
+    items = settle(features.profile_items(c.supported, user="user_key", session="session_no"), "items")
     sizes = items.groupBy("user_key", "session_no").agg(F.count("*").alias("n_urls"))
     named = items.join(c.names, items["url_id"] == c.names["number"]).select("user_key", "session_no", "url", "freq")
     return named.join(sizes, ["user_key", "session_no"]).withColumn("w", features.ramp_weight(F.col("n_urls")))
@@ -117,7 +119,7 @@ def chain_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def chain_points(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
     c = chain(spark, sf_dir)
-    return settle(features.weighted_points(c.vectors()), "points"), max(c.n, 1)
+    return clustering.spread(features.weighted_points(c.vectors())), max(c.n, 1)
 
 
 def cluster_summary(spark: SparkSession, sf_dir: str, c: int = 4, q: float = 1.03) -> DataFrame:

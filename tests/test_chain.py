@@ -143,3 +143,25 @@ def test_no_folder_of_one_machine_on_a_cluster():
 
     with pytest.raises(RuntimeError, match="checkpoint"):
         stage.shared(Spark(), "x")
+
+
+def test_few_points_keep_every_core_busy_in_a_pass(spark):
+    """A small table of points was one file, so each of the 41 passes of the sweep ran in one task."""
+    points, _ = workloads.chain_points(spark, SMALL)
+    assert points.rdd.getNumPartitions() >= int(spark.conf.get("spark.sql.shuffle.partitions")) > 1
+
+
+@pytest.mark.parametrize("q", [1.0, 1.03, 2.0])
+def test_sums_by_clusters_are_those_by_points(q):
+    rng = np.random.default_rng(4)
+    x = (rng.random((300, 12)) < 0.3).astype(float)
+    v = np.concatenate([x[:3], x[:1], rng.random((4, 12))])  # centres on points, two of them equal
+    mult, w = rng.integers(1, 5, 300).astype(float), np.where(rng.random(300) < 0.2, 0.0, rng.random(300))
+    d = clustering.distances(x, v)
+    u = clustering.membership(d, q)
+    uq = u**q if q > 1 else u
+    for kind, count in (("soft", mult), ("hard", w)):
+        for update, by in (("objective", w), ("as_printed", count)):
+            m = uq * by[:, None]
+            want = np.concatenate([m.sum(0), (m.T @ x).ravel(), [(w[:, None] * uq * d).sum(), (count[:, None] * u * u * d).sum(), (w[:, None] * u * u * d).sum(), w.sum(), count.sum()]])
+            assert clustering._sums(x, (x * x).sum(1), clustering.Run(v.copy(), q, kind, update), mult, w, 12) == pytest.approx(want)
