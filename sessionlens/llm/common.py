@@ -41,10 +41,11 @@ def new_path(spark: SparkSession, what: str) -> str:
     return f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
 
 
-def keep(df: DataFrame, what: str = "table") -> DataFrame:
-    """Writes df once to the shared folder and reads it back; later steps survive the loss of any executor."""
+def keep(df: DataFrame, what: str = "table", codec: str | None = None) -> DataFrame:
+    """Writes df once to the shared folder and reads it back; later steps survive the loss of any executor. codec: how the
+    files are compressed, where that isn't left to the session."""
     path = new_path(df.sparkSession, what)
-    df.write.parquet(path)
+    (df.write.option("compression", codec) if codec else df.write).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._kept_path = path
     return out

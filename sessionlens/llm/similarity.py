@@ -39,6 +39,8 @@ TREES, BITMAP = 1, 512
 #: A text in SAMPLE is looked at for common shingles; those in OFTEN of them or more, MOST at most, come last. These
 #: change the cost only.
 SAMPLE, OFTEN, MOST = 16, 8, 100_000
+#: Compression of the tables that hold texts: two of them and an exchange of all texts are the most that lies on disk.
+CODEC = "zstd"
 
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
@@ -216,7 +218,7 @@ def _links(pairs: DataFrame, nodes: DataFrame, similarity: tuple[int, int], shin
     p, q = similarity
     pairs = keep(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
     ends = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    texts = keep(nodes.select("node", "text").join(ends, "node", "left_semi"), "texts")
+    texts = keep(nodes.select("node", "text").join(ends, "node", "left_semi"), "texts", CODEC)
     both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -248,9 +250,9 @@ def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", simila
     """key, component_id: the least key that chains of texts at or above the similarity reach; one row for each row of
     ``docs``. Texts without words are alike. A null key is a component's id only where the component has no other."""
     given = docs.select(F.col(key), F.col(text).alias("text"))
-    sets = keep(_sets(given, key, similarity, shingle, seed), "sets")
+    sets = keep(_sets(given, key, similarity, shingle, seed), "sets", CODEC)
     nodes = sets.groupBy("node").agg(F.first(F.struct("text", "fp", "parity", "n", "first")).alias("r"), F.min(key).alias("_least"))
-    nodes = keep(nodes.select("node", "r.*", "_least"), "nodes")
+    nodes = keep(nodes.select("node", "r.*", "_least"), "nodes", CODEC)
     members = keep(sets.select(key, "node"), "members")
     discard(sets)
     root = F.coalesce("root", "node").alias("root")

@@ -746,3 +746,13 @@ def test_near_copies_of_the_given_documents(spark):
     parent = alike(word_sets(p["text"]))
     got = {r["doc_id"] for r in P.near_copies(spark, spark.read.parquet(f"{SMALL}/documents.parquet"), SMALL).select("doc_id").collect()}
     assert got == set(p["doc_id"].to_numpy()[parent == np.arange(len(p))])
+
+
+def test_tables_of_texts_that_near_copies_keeps_are_packed(spark, monkeypatch):
+    """The sets, the nodes and an exchange of all texts lay on disk at once, the tables packed lightly."""
+    rng, sizes = np.random.default_rng(6), {}
+    words = [f"w{i}" for i in range(400)]
+    docs = spark.createDataFrame([(i, " ".join(rng.choice(words, 120))) for i in range(300)], "doc_id long, text string")
+    monkeypatch.setattr(similarity, "discard", lambda df: sizes.__setitem__(df._kept_path.split("/")[-1].split("-")[0], df.inputFiles()))
+    assert similarity.near_copies(docs).count() == 300
+    assert all(f.endswith(".zstd.parquet") for name in ("sets", "nodes", "texts") for f in sizes[name])
